@@ -90,4 +90,4 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int
     if total > rows:
         share = int(1_000_000 * rows / total)
         marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share)
-    return docs.select("doc_id", "text").join(marks, "doc_id")
+    return docs.select("doc_id", "text").join(F.broadcast(marks), "doc_id")  # about ``rows`` ids at most

@@ -56,7 +56,7 @@ def targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, max_epochs:
 
 
 def draw(docs: DataFrame, seed: str = "mix", cut: str = "word", weights=WEIGHTS, share: float = SHARE, max_epochs: int = MAX_EPOCHS) -> DataFrame:
-    """doc_id, size, source_size, target, taken for every row of ``docs`` (doc_id, source, text)."""
+    """source, key, doc_id, size, source_size, target, epochs, taken for every row of ``docs`` (doc_id, source, text)."""
     if cut not in ("word", "document"):
         raise ValueError(f"unknown cut: {cut}")
     key = random_key(seed)
@@ -81,12 +81,28 @@ def draw(docs: DataFrame, seed: str = "mix", cut: str = "word", weights=WEIGHTS,
     taken = F.least(F.col("epochs") * F.col("size") + extra, F.lit(max_epochs) * F.col("size"))
     return (
         rows.withColumn("epochs", epochs.cast("long")).withColumn("rest", rest)
-        .select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"))
+        .select("source", "key", "doc_id", "size", "source_size", "target", "epochs", taken.cast("long").alias("taken"))
     )
 
 
+def mix(docs: DataFrame, seed: str = "mix", **how) -> DataFrame:
+    """The rows of ``docs`` as often as the mix takes them, whole, with all their columns.
+
+    Only the last row that each source takes once more is looked up; every row then decides for itself."""
+    drawn = draw(docs, seed, cut="document", **how)
+    place = F.struct("key", "doc_id", "size")
+    last = drawn.groupBy(F.col("source").alias("_s")).agg(
+        F.max("epochs").alias("_epochs"), F.max(F.when(F.col("taken") > F.col("epochs") * F.col("size"), place)).alias("_last")
+    )
+    mine = F.struct(random_key(seed).alias("key"), F.col("doc_id"), word_count().alias("size"))
+    once_more = F.coalesce((mine <= F.col("_last")).cast("long"), F.lit(0))
+    times = F.when(mine["size"] > 0, F.col("_epochs") + once_more).otherwise(0)
+    rows = docs.join(last, F.col("source").eqNullSafe(F.col("_s"))).withColumn("_times", times).where("_times > 0")
+    return rows.select(*docs.columns, F.explode(F.sequence(F.lit(1), F.col("_times"))).alias("_time")).drop("_time")
+
+
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return draw(table(spark, sf_dir, "documents"))
+    return draw(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
 OP4_SQL = r"""

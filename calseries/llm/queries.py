@@ -2,11 +2,27 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
+
+from .jaccard_join import op7_heavy_light_join
+from .line_rules import op5_line_rules
 from .mixing import OP4_SQL, op4_source_mix
 from .packing import op3_pattern_packing
+from .toxicity import op2_factorization_machine
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
 
 QUERIES = {
+    "pipeline": pipeline,
+    "op2_factorization_machine": op2_factorization_machine,
     "op3_pattern_packing": op3_pattern_packing,
     "op4_source_mix": op4_source_mix,
+    "op5_line_rules": op5_line_rules,
+    "op7_heavy_light_join": op7_heavy_light_join,
 }
 ORACLES = {"op4_source_mix": OP4_SQL}
