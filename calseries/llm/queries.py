@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .chat import OP1_SQL, op1_chat_format
 from .jaccard_join import op7_heavy_light_join
+from .jpeg import op6_jpeg
 from .line_rules import op5_line_rules
 from .mixing import OP4_SQL, op4_source_mix
 from .packing import op3_pattern_packing
@@ -19,10 +21,12 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "pipeline": pipeline,
+    "op1_chat_format": op1_chat_format,
     "op2_factorization_machine": op2_factorization_machine,
     "op3_pattern_packing": op3_pattern_packing,
     "op4_source_mix": op4_source_mix,
     "op5_line_rules": op5_line_rules,
+    "op6_jpeg": op6_jpeg,
     "op7_heavy_light_join": op7_heavy_light_join,
 }
-ORACLES = {"op4_source_mix": OP4_SQL}
+ORACLES = {"op1_chat_format": OP1_SQL, "op4_source_mix": OP4_SQL}
