@@ -22,7 +22,7 @@ from .textkit import LETTER, LOWER, U, Slab, distinct_by_text, hash_runs, runs,
 travels(__name__)
 
 #: Labelled documents that the machine is fitted on, at most about.
-TRAIN_DOCS = 12000
+TRAIN_DOCS = 6000
 BITS = 20
 FACTORS = 4
 MIN_DOCS = 4
@@ -61,7 +61,7 @@ def gather(sample: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     parts = [np.frombuffer(v, "<i4") for v in got["terms"]]
     off = np.zeros(len(parts) + 1, np.int64)
     np.cumsum([len(p) for p in parts], out=off[1:])
-    return got["y"].to_numpy(np.int64), np.concatenate([*parts, np.zeros(0, np.int32)]).astype(np.int64), off
+    return got["y"].to_numpy(np.int64), np.concatenate([*parts, np.zeros(0, np.int32)]), off
 
 
 class Machine:
@@ -90,8 +90,8 @@ def learn(y: np.ndarray, bucket: np.ndarray, off: np.ndarray, epochs: int = 12,
         return model
     rng = np.random.default_rng(seed)
     df = np.bincount(bucket, minlength=1 << BITS)
-    owner = np.repeat(np.arange(n), np.diff(off))
-    hits = np.bincount(bucket, weights=y[owner], minlength=1 << BITS)
+    owner = np.repeat(np.arange(n, dtype=np.int32), np.diff(off))
+    hits = np.bincount(bucket[y[owner] == 1], minlength=1 << BITS)
     # only terms whose share of label 1 differs from the whole's by more than chance explains
     spread = np.abs(hits - df * share) / np.sqrt(df * share * (1 - share) + 1e-9)
     kept = np.flatnonzero((df >= min(MIN_DOCS, max(2, n // 200))) & (spread > 2.5))
@@ -99,7 +99,7 @@ def learn(y: np.ndarray, bucket: np.ndarray, off: np.ndarray, epochs: int = 12,
     w, v = np.zeros(len(kept)), rng.normal(0, 0.02, (len(kept), FACTORS))
     at = model.index[bucket]
     known = at >= 0
-    at, owner = at[known].astype(np.int64), owner[known]
+    at, owner = at[known], owner[known]
     cut = np.searchsorted(owner, np.arange(n + 1))
     gw, gv, gb, bias = np.full(len(kept), 1e-6), np.full(v.shape, 1e-6), 1e-6, model.bias
     for _ in range(epochs):
