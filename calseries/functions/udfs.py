@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def array_mavg(vals: Column, w: Column | int) -> Column:
@@ -24,7 +25,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("segment_ids", SegmentIds)
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def rsi_arrays(vals: pd.Series, w: pd.Series) -> pd.Series:
     def one(x, n):
         d = pd.Series(x, dtype=float).diff()
@@ -34,7 +35,7 @@ def rsi_arrays(vals: pd.Series, w: pd.Series) -> pd.Series:
     return pd.Series([one(x, int(n)) for x, n in zip(vals, w, strict=True)])
 
 
-@F.udtf(returnType="idx: bigint, t: timestamp_ntz")
+@F.udtf(returnType=T.StructType([T.StructField("idx", T.LongType()), T.StructField("t", T.TimestampNTZType())]))
 class CalendarRange:
     """Instants from ``start`` in steps of so many seconds."""
 
@@ -46,7 +47,7 @@ class CalendarRange:
             yield i, at + timedelta(seconds=seconds * i)
 
 
-@F.udtf(returnType="seg: bigint, is_core: boolean")
+@F.udtf(returnType=T.StructType([T.StructField("seg", T.LongType()), T.StructField("is_core", T.BooleanType())]))
 class SegmentIds:
     """The segments whose core or halo an entry lies in."""
 
@@ -55,7 +56,7 @@ class SegmentIds:
             yield s, s == idx // length
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def clip_scale(v: pd.Series) -> pd.Series:
     """An arbitrary Python function of values, by batches: clipped to 0 … 100 and halved."""
     return v.clip(0, 100) / 2

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.algebra import wide
-from ..series import SeriesFrame
+from ..series import SeriesFrame, snap
 
 # ---- distances --------------------------------------------------------------------------------------------------------
 
@@ -67,7 +67,7 @@ def knn(queries: DataFrame, vectors: DataFrame, k: int, most_queries: int = 10_0
         raise ValueError(f"more than {most_queries} queries")
     q = queries.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("_q"))
     rows = vectors.join(F.broadcast(q), F.col("vec_id") != F.col("query_id"))
-    d = F.round(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
+    d = snap(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("distance", "vec_id"))
     return rows.select("query_id", "vec_id", d.alias("distance")).withColumn("rank", rank).where(F.col("rank") <= k)
 

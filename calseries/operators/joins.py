@@ -60,5 +60,5 @@ def salted_join(left: DataFrame, right: DataFrame, on: str, salts: int = 16, how
         raise ValueError("only the right side may be copied")
     cols: list[Column] = [F.col(c) for c in left.columns]
     l = left.withColumn("_s", F.pmod(F.xxhash64(*cols), F.lit(salts)))
-    r = right.withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long"))
+    r = right.withColumn("_s", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     return l.join(r, [on, "_s"], how).drop("_s")

@@ -131,8 +131,8 @@ def fuse(n: Node, sf: SeriesFrame) -> SeriesFrame:
             keep = nulls.known(TESTS[str(p["test"])](v[0], F.lit(float(p["value"]))), v[0])
             df = df.withColumn(at, F.when(keep | nulls.is_unknown(v[0]), v[0]))
         else:
-            frame = sf.with_df(df.withColumn("v", v[0]))
-            df = df.withColumn(at, window_column(x, frame))
+            df = df.withColumn("v", v[0])  # window columns read v
+            df = df.withColumn(at, window_column(x, sf.with_df(df)))
         cols[k] = at
         return at
 

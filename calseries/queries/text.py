@@ -55,6 +55,9 @@ def kind(name: str, i: int) -> str:
     return f"e{i} AS (SELECT 'e' AS series_id, date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) AS idx, avg(value) AS v FROM events WHERE event_type = '{name}' GROUP BY ALL)"
 
 
+TWO_TYPES = f"{kind('click', 1)}, {kind('view', 2)}"
+
+
 def series(ctes: str, r: str, digits: int = 4) -> str:
     """WITH ctes, r AS (...) and the form in which queries return a series."""
     return f"""WITH {ctes}, r AS ({r})
