@@ -45,6 +45,8 @@ POSTING_COST = 12
 #: Shingles in a block, where each set counts ``BLOCK_SET`` more.
 BLOCK, BLOCK_SET = 400_000, 300
 KEY_BITS = 48
+#: Bits of the filter that keeps most texts outside clusters from travelling, and bits that each id sets.
+FILTER, FILTER_HASHES = 1 << 25, 3
 
 
 def sets(slab: Slab, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
@@ -249,6 +251,48 @@ def forest(m: int, i: np.ndarray, j: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
+def _bits(ids: np.ndarray) -> np.ndarray:
+    """The filter's bits that these ids set, one row an id."""
+    x = mix(ids.view(U))
+    return np.stack([(mix(x + U(k)) % U(FILTER)).astype(np.int64) for k in range(FILTER_HASHES)], 1)
+
+
+def only_members(docs: DataFrame, members: DataFrame) -> DataFrame:
+    """(doc_id, text) of the rows whose id may be a member's, so that few texts travel to the join that decides.
+
+    The ids go into a filter of FILTER bits, whatever their number: too many let more rows pass, none is lost."""
+
+    def collect(batches):
+        found = np.zeros(FILTER, bool)
+        for b in batches:
+            found[_bits(b.column(0).to_numpy()).ravel()] = True
+        if found.any():
+            yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([zlib.compress(np.packbits(found).tobytes(), 1)], pa.binary())], ["one", "bits"])
+
+    def merge(batches):
+        bits = np.zeros(FILTER // 8, np.uint8)
+        for b in batches:
+            for x in b.column(1).to_pylist():
+                bits |= np.frombuffer(zlib.decompress(x), np.uint8)
+        if bits.any():
+            yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([zlib.compress(bits.tobytes(), 1)], pa.binary())], ["one", "bits"])
+
+    schema = "one int, bits binary"
+    merged = members.select("rep").mapInArrow(collect, schema).repartition(1, "one").mapInArrow(merge, schema)
+    bits = np.zeros(FILTER // 8, np.uint8)
+    for r in merged.collect():  # one row of FILTER bits
+        bits |= np.frombuffer(zlib.decompress(r["bits"]), np.uint8)
+    kept = docs.sparkSession.sparkContext.broadcast(bits)
+
+    def sieve(batches):
+        there = np.unpackbits(kept.value).view(bool)
+        for b in batches:
+            b = b.filter(b.column(0).is_valid())
+            yield b.filter(pa.array(there[_bits(b.column(0).to_numpy())].all(1)))
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(sieve, "doc_id long, text string")
+
+
 def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """Edges (a, b) between class representatives that connect what the links inside each cluster connect.
 
@@ -263,52 +307,47 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
     roles = roles.groupBy("cluster", "blk").agg(F.collect_list(F.struct("i", "j")).alias("where"))
     placed = placed.join(roles, ["cluster", "blk"]).select("rep", "f1", "cluster", "blk", "where")
 
-    def encode(batches):
-        for b in batches:
-            f1 = b.column(1).to_numpy()
-            for slab in slabs(b.column(0)):
-                h, owner = sets(slab, k)
-                m = len(slab)
-                cut = np.searchsorted(owner, np.arange(m + 1))
-                c1 = np.zeros(len(h) + 1, U)
-                np.cumsum(mix(h + U(1)), out=c1[1:])
-                same = (c1[cut[1:]] - c1[cut[:-1]]).view(np.int64) == f1[slab.lo : slab.lo + m]
-                kept = np.flatnonzero(same)
-                rows = b.slice(slab.lo, m).take(pa.array(kept))
-                hs = pa.array([h[cut[i] : cut[i + 1]].tobytes() for i in kept.tolist()], pa.binary())
-                yield pa.RecordBatch.from_arrays([rows.column(2), rows.column(3), rows.column(4), rows.column(5), hs], ["rep", "cluster", "blk", "where", "h"])
-
-    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text"))
-    coded = texts.join(placed, "rep").select("text", "f1", "rep", "cluster", "blk", "where")
-    coded = coded.mapInArrow(encode, "rep long, cluster long, blk int, where array<struct<i:int,j:int>>, h binary")
-    spread = coded.select("rep", "cluster", "blk", F.inline("where"), "h").repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "rep")
+    texts = only_members(docs, members).select(F.col("doc_id").alias("rep"), "text")
+    spread = texts.join(placed, "rep").select("rep", "f1", "cluster", "blk", F.inline("where"), "text")
+    spread = spread.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "rep")
 
     def settle(key, reps, blks, hs):
         reps, where = np.unique(np.array(reps, np.int64), return_index=True)
         if len(reps) < 2:
             return []
-        values = [np.frombuffer(hs[t], U) for t in where.tolist()]
+        values = [hs[t] for t in where.tolist()]
         side = (np.array(blks)[where] != key[1]).astype(int)
         return [(int(reps[a]), int(reps[b])) for a, b in forest(len(reps), *links(values, side, percent))]
 
     def work(batches):
         key, reps, blks, hs = None, [], [], []
+
+        def edges(out):
+            return pa.RecordBatch.from_arrays([pa.array([e[k] for e in out], pa.int64()) for k in (0, 1)], ["a", "b"])
+
         for b in batches:
             out = []
-            cols = [b.column(c).to_pylist() for c in range(6)]
-            for rep, cluster, blk, i, j, h in zip(*cols, strict=True):
-                if (cluster, i, j) != key:
-                    if len(reps) > 1:
-                        out += settle(key, reps, blks, hs)
-                    key, reps, blks, hs = (cluster, i, j), [], [], []
-                reps.append(rep)
-                blks.append(blk)
-                hs.append(h)
-            yield pa.RecordBatch.from_arrays([pa.array([e[0] for e in out], pa.int64()), pa.array([e[1] for e in out], pa.int64())], ["a", "b"])
-        out = settle(key, reps, blks, hs) if len(reps) > 1 else []
-        yield pa.RecordBatch.from_arrays([pa.array([e[0] for e in out], pa.int64()), pa.array([e[1] for e in out], pa.int64())], ["a", "b"])
-
-    return spread.select("rep", "cluster", "blk", "i", "j", "h").mapInArrow(lambda it: work((pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), b.column(3), b.column(4), b.column(5)], ["rep", "cluster", "blk", "i", "j", "h"]) for b in it)), "a long, b long")
+            rep, f1, cluster, blk, i, j = (b.column(c).to_pylist() for c in range(6))
+            for slab in slabs(b.column(6)):
+                h, owner = sets(slab, k)
+                cut = np.searchsorted(owner, np.arange(len(slab) + 1))
+                c1 = np.zeros(len(h) + 1, U)
+                np.cumsum(mix(h + U(1)), out=c1[1:])
+                got = (c1[cut[1:]] - c1[cut[:-1]]).view(np.int64).tolist()
+                for n in range(len(slab)):
+                    r = slab.lo + n
+                    if (cluster[r], i[r], j[r]) != key:
+                        if len(reps) > 1:
+                            out += settle(key, reps, blks, hs)
+                        key, reps, blks, hs = (cluster[r], i[r], j[r]), [], [], []
+                    if got[n] == f1[r]:
+                        reps.append(rep[r])
+                        blks.append(blk[r])
+                        hs.append(h[cut[n] : cut[n + 1]].copy())
+            yield edges(out)
+        yield edges(settle(key, reps, blks, hs) if len(reps) > 1 else [])
+
+    return spread.select("rep", "f1", "cluster", "blk", "i", "j", "text").mapInArrow(work, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -321,6 +360,7 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -
     clusters = clusters.unionAll(clusters.select(F.col("root").alias("node"), "root").distinct())
     classes = rows.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"))
     members = classes.join(clusters, F.col("f1") == F.col("node")).where(F.col("rep").isNotNull()).select("rep", "f1", "n", F.col("root").alias("cluster"))
+    members = staged(members, "members")
     found = components(verified(docs, members, k, percent))
     named = classes.join(found, F.col("rep") == F.col("node"), "left").select("f1", "f2", "n", F.coalesce("root", "rep").alias("component_id"))
     out = rows.join(named, ["f1", "f2", "n"], "left")
