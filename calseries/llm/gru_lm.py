@@ -94,6 +94,7 @@ class Network:
         rng = np.random.default_rng(seed)
         self.per = max(1, -(-n_words // CLASSES))
         self.n_words = n_words
+        self.used = -(-n_words // self.per)  # classes that have words
         f = np.float32
         self.p = {
             "entry": rng.normal(0, 0.3, (WORDS + 1, ENTRY)).astype(f), "wx": rng.normal(0, ENTRY**-0.5, (ENTRY, 3 * STATE)).astype(f),
@@ -119,6 +120,7 @@ class Network:
         """Natural log-probability of each id after each state; with ``learn`` also gradients."""
         p, cls = self.p, self.class_of(ids)
         logit = h @ p["wc"] + p["bc"]
+        logit[:, self.used : CLASSES] = -1e9
         logit -= logit.max(1, keepdims=True)
         ex = np.exp(logit)
         total = ex.sum(1, keepdims=True)

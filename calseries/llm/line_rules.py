@@ -185,7 +185,7 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_DOCS) -> tuple[n
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(y[slab.lo : slab.lo + len(slab)], pa.int32()), pa.array([bits[cut[i] : cut[i + 1]].tolist() for i in range(len(slab))], pa.list_(pa.int64()))], ["doc_id", "y", "lines"])
 
     got = sample.select(F.col("text").cast("string"), "y", "doc_id").mapInArrow(work, "doc_id long, y int, lines array<long>").toPandas().sort_values(["doc_id", "y"])
-    got = got[[len(v) > 0 for v in got["lines"]]]
+    got = got[got["lines"].map(len) > 0]
     prior = PRIOR_WEIGHTS, np.array([[PRIOR_STICK, 0.0], [0.0, PRIOR_STICK]])
     if got["y"].nunique() < 2:
         return prior

@@ -81,7 +81,7 @@ def mix(h: np.ndarray) -> np.ndarray:
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     kept = stash("powers", lambda: {})
-    if kept.get("n", 0) < n:
+    if kept.get("n", -1) < n:
         size = max(n, 1 << 20)
         with np.errstate(over="ignore"):
             kept["up"] = np.cumprod(np.r_[U(1), np.full(size, U(BASE))])
