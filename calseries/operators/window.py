@@ -179,8 +179,7 @@ def xavg_column(a: SeriesFrame, w: int, alpha: float | None = None, normalize: b
             on = item["x"].isNotNull()
             return F.struct((acc["top"] + F.when(on, k * item["x"]).otherwise(0.0)).alias("top"), (acc["low"] + F.when(on, k).otherwise(0.0)).alias("low"))
 
-        done = F.aggregate(items, zero, step)
-        out = done["top"] / F.nullif(done["low"], F.lit(0.0)) if normalize else done["top"] * alpha
+        out = F.aggregate(items, zero, step, lambda acc: acc["top"] / F.nullif(acc["low"], F.lit(0.0)) if normalize else acc["top"] * alpha)
         return F.when(F.max(nulls.is_unknown(v)).over(s), nulls.unknown()).otherwise(out)
     base = spec(a)
     upto, gone = base.rangeBetween(Window.unboundedPreceding, 0), base.rangeBetween(Window.unboundedPreceding, -w)
@@ -237,7 +236,8 @@ def macd(a: SeriesFrame, short: int = 12, long: int = 26, kind: str = "simple",
     """Short minus long moving average, both from one pass over one ordering."""
     if kind == "exp":
         how = "prefix" if method == "prefix" else "fold"
-        return put(a, nulls.lift(lambda x, y: x - y, xavg_column(a, short, method=how), xavg_column(a, long, method=how)))
+        both = a.with_df(a.df.withColumn("_x", xavg_column(a, short, method=how)).withColumn("_y", xavg_column(a, long, method=how)))
+        return a.with_df(put(both, nulls.lift(lambda x, y: x - y, F.col("_x"), F.col("_y"))).df.drop("_x", "_y"))
     v = F.col("v")
     return put(a, nulls.lift(lambda x, y: x - y, agg_over(v, F.avg, over(a, short)), agg_over(v, F.avg, over(a, long))))
 
