@@ -23,7 +23,12 @@ def travels(name: str) -> None:
 travels(__name__)
 
 
+#: Rows of a batch between Spark and Python: texts are long, and a batch lies in memory on both sides.
+BATCH_ROWS = "2000"
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

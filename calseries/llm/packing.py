@@ -49,8 +49,8 @@ class Encoder:
     texts, and the library's model encodes each distinct pre-token once. Texts with a character outside ``PLAIN`` go through
     the library as they are."""
 
-    SLOTS = 1 << 20
-    MOST = 3_000_000
+    SLOTS = 1 << 19
+    MOST = 400_000
 
     def __init__(self, path: str):
         import os
