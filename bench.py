@@ -24,7 +24,7 @@ RUNS = int(os.environ.get("BENCH_RUNS", "2"))
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
 N = 500_000
-OTHERS = ["strategy_buy", "strategy_grid_topk", "eco_styles", "eco_users", "excess_over_index", "ohlc_daily", "join_asof", "join_star", "agg_basic", "stream_append"]
+OTHERS = ["strategy_buy", "strategy_grid_topk", "eco_styles", "eco_users", "excess_over_index", "ohlc_daily", "join_asof", "join_star", "agg_basic"]
 
 
 def timed(df: DataFrame) -> float:
