@@ -23,7 +23,7 @@ from .textkit import LETTER, LOWER, SPACE, U, Slab, hash_runs, mix, runs, slabs,
 travels(__name__)
 
 #: Labelled documents that vectors and network are fitted on, at most about.
-TRAIN_DOCS = 6000
+TRAIN_DOCS = 4000
 BITS = 15
 DIM, ONES = 48, 4
 HIDDEN = 24
@@ -168,7 +168,12 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_DOCS, modulus: i
     bucket = np.concatenate(parts).astype(np.int64)
     owner = np.repeat(np.arange(len(parts)), [len(p) for p in parts])
     vectors = word_vectors(bucket, owner)
-    net = fit(pool(vectors, bucket, owner, np.stack(got["extra"].to_list())), y)
+    extra = np.stack(got["extra"].to_list())
+    pooled = []
+    for lo in range(0, len(parts), 100):  # a few documents' token vectors at a time
+        a, b = np.searchsorted(owner, (lo, lo + 100))
+        pooled.append(pool(vectors, bucket[a:b], owner[a:b] - lo, extra[lo : lo + 100]))
+    net = fit(np.concatenate(pooled), y)
     net.vectors = vectors
     return net
 
