@@ -176,7 +176,7 @@ def postings(docs: DataFrame, levels: np.ndarray, boundary: int, k: int = SHINGL
                         seen.add(f)
                 key = np.sort((owner.astype(U) << U(54)) | (level[(h & U(SKETCH - 1)).astype(np.int64)].astype(U) << U(KEY_BITS)) | (h >> U(54 - KEY_BITS)))
                 place = np.arange(len(key)) - cut[owner]
-                take = (place < prefix_length(n)[owner]) & new[owner] & (n[owner] >= probe_from)
+                take = (place < prefix_length(n, percent)[owner]) & new[owner] & (n[owner] >= probe_from)
                 keys, cs, who = [(key[take] & low).astype(np.int64)], [np.zeros(int(take.sum()), np.int32)], [owner[take]]
                 for i in np.flatnonzero(new & (n <= boundary)).tolist():
                     terms = mix(h[cut[i] : cut[i + 1]] + U(1)).tolist()

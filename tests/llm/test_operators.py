@@ -438,6 +438,17 @@ def test_jaccard_equals_all_pairs(spark, k, percent):
     assert got == want
 
 
+def test_jaccard_sets_inside_larger_ones(spark):
+    """All that the larger text has beyond the smaller one is rarer than what they share, at exactly 80 of 100."""
+    texts = []
+    for i in range(12):
+        w = [f"g{i}x{j}" for j in range(84)]
+        texts += [" ".join(w), " ".join([*w, *[f"r{i}x{j}" for j in range(20)]])]
+    want = brute_components(dict(enumerate(texts)), 5, 80)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.near_duplicates(docs(spark, texts), 5, 80).collect()}
+    assert got == want and len({c for _, c in got.values()}) == 12
+
+
 def test_jaccard_boundary_and_subsets():
     assert all(jaccard_join.needed(s, t) * 100 >= 85 * (s + t - jaccard_join.needed(s, t)) > 0 for s in range(1, 40) for t in range(s, 40))
     assert all(100 * (jaccard_join.needed(s, t) - 1) < 85 * (s + t - jaccard_join.needed(s, t) + 1) for s in range(1, 40) for t in range(1, 40))
