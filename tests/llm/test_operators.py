@@ -489,6 +489,14 @@ def test_components(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_components_around_hot_nodes(spark):
+    """Two hubs with most of the edges, chains whose nodes are all cold, and a link between the hubs' leaves."""
+    hubs = [(5, i) for i in range(1000, 4000)] + [(9, i) for i in range(5000, 7000)] + [(3999, 5000)]
+    chain = [(i, i + 1) for i in range(10000, 10300)]
+    got = {r["node"]: r["root"] for r in components(spark.createDataFrame(hubs + chain, "a long, b long")).collect()}
+    assert got == dict.fromkeys([9, *range(1000, 4000), *range(5000, 7000)], 5) | dict.fromkeys(range(10001, 10301), 10000)
+
+
 # ---- 8 languages --------------------------------------------------------------------------------------------------------------
 
 
