@@ -3,7 +3,8 @@
 Counts of all training words are exact, by 64-bit word hash. The commonest ``WORDS`` words (with the end mark) are the
 network's own; the output is factored into classes of like frequency and words within a class, and one more class
 holds every other word, by smoothed counts inside it, so that a text's probability is whole. Training is truncated
-backpropagation in numpy on a bounded sample of documents; scoring carries the state through a text from its first
+backpropagation in numpy over every training text: in each pass every partition goes on from the same weights over its
+own texts, and the weights that they end with are averaged. Scoring carries the state through a text from its first
 word to its last, many texts side by side, window after window.
 
 Words beyond a broadcast head of the counts (bounded by ``HEAD``) meet their counts in a join.
@@ -29,8 +30,10 @@ travels(__name__)
 
 #: Words of the network, the end mark included; classes of equal size; width of the state and of a word's entry.
 WORDS, CLASSES, STATE, ENTRY = 1024, 32, 16, 12
-#: Documents that the network is trained on, at most about; passes over them; steps of a window; texts side by side.
-TRAIN_DOCS, PASSES, WINDOW, LANES = 2500, 3, 24, 96
+#: Passes over all training texts; steps of a window; texts side by side.
+PASSES, WINDOW, LANES = 3, 24, 96
+#: Words of the texts that a task shuffles and trains on at a time; partitions whose weights one group adds up.
+CHUNK, FAN = 1 << 20, 8
 #: Most words whose counts are broadcast (16 bytes each).
 HEAD = 1 << 19
 SMOOTH = 0.1
@@ -223,34 +226,48 @@ class Network:
         return out
 
 
-def fit(texts: list[np.ndarray], n_words: int, rate: float = 0.02, seed: int = 5) -> Network:
-    """Train on texts of word ids that end in END."""
+def start(count: np.ndarray, n_words: int, seed: int = 5) -> Network:
+    """A network that knows how often each id occurs (``count``) and no more; without texts it spreads evenly."""
     net = Network(n_words, seed)
-    if not texts:
+    if not count.sum():
         for k in ("wc", "bc", "wo", "bo"):
             net.p[k][:] = 0
         return net
-    rng = np.random.default_rng(seed)
-    for pass_ in range(PASSES):
-        stream = np.concatenate([texts[i] for i in rng.permutation(len(texts))]).astype(np.int64)
-        lanes = max(1, min(LANES, len(stream) // (2 * WINDOW)))
-        each = len(stream) // lanes
-        ids = stream[: each * lanes].reshape(lanes, each).T
-        prev = np.concatenate([np.full((1, lanes), END), ids[:-1]])
-        if pass_ == 0:  # start from the frequencies
-            c = np.bincount(stream, minlength=WORDS + 1) + 0.5
-            for k in range(CLASSES):
-                net.p["bc"][k] = np.log(max(c[k * net.per : min((k + 1) * net.per, n_words)].sum(), 0.5))
-            net.p["bc"][CLASSES] = np.log(c[REST])
-            net.p["bc"] -= net.p["bc"].mean()
-            net.p["bo"][:] = np.log(c[:WORDS])
-            net.p["bo"] -= net.p["bo"][:n_words].mean()
-        h = np.zeros((lanes, STATE), np.float32)
-        for t in range(0, each, WINDOW):
-            h = net.train_window(ids[t : t + WINDOW], prev[t : t + WINDOW], h, rate * 0.5**pass_)
+    c = count + 0.5
+    for k in range(CLASSES):
+        net.p["bc"][k] = np.log(max(c[k * net.per : min((k + 1) * net.per, n_words)].sum(), 0.5))
+    net.p["bc"][CLASSES] = np.log(c[REST])
+    net.p["bc"] -= net.p["bc"].mean()
+    net.p["bo"][:] = np.log(c[:WORDS])
+    net.p["bo"] -= net.p["bo"][:n_words].mean()
     return net
 
 
+def learn(net: Network, texts: list[np.ndarray], rate: float, rng: np.random.Generator) -> np.ndarray:
+    """Train once over texts of word ids that end in END. Returns how often each id occurs."""
+    stream = np.concatenate([texts[i] for i in rng.permutation(len(texts))]).astype(np.int64)
+    lanes = max(1, min(LANES, len(stream) // (2 * WINDOW)))
+    each = -(-len(stream) // lanes)
+    ids = np.resize(stream, lanes * each).reshape(lanes, each).T  # the last lane is filled up from the stream's start
+    prev = np.concatenate([np.full((1, lanes), END), ids[:-1]])
+    h = np.zeros((lanes, STATE), np.float32)
+    for t in range(0, each, WINDOW):
+        h = net.train_window(ids[t : t + WINDOW], prev[t : t + WINDOW], h, rate)
+    return np.bincount(stream, minlength=WORDS + 1)
+
+
+def weights(net: Network, count: np.ndarray) -> dict[str, np.ndarray]:
+    """How much a network that saw the ids ``count`` times says about each row of its parameters.
+
+    A word's entry counts by the word and its output by its class, so that a word of few partitions isn't thinned out
+    by the others, which leave it where it was."""
+    cls = np.add.reduceat(count[: net.used * net.per].astype(float), np.arange(0, net.used * net.per, net.per)[: net.used])
+    out = np.zeros(WORDS)
+    n = min(WORDS, net.used * net.per)
+    out[:n] = np.repeat(cls, net.per)[:n]
+    return {k: {"entry": count[:, None], "wo": out[:, None], "bo": out}.get(k, float(count.sum())) for k in net.p}
+
+
 # ---- corpus ---------------------------------------------------------------------------------------------------------
 
 
@@ -264,8 +281,9 @@ class Totals:
     rest: float
 
 
-def corpus(train: DataFrame) -> tuple[DataFrame, Totals, np.ndarray, np.ndarray, np.ndarray]:
-    """Counts (stored), totals, the network's word hashes by rank, and the head's hashes (ascending) and counts."""
+def corpus(train: DataFrame) -> tuple[DataFrame, Totals, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Counts (stored), totals, the network's word hashes by rank, the counts of its ids, and the head's hashes
+    (ascending) and counts."""
     counts = staged(count_words(train), "counts")
     ends = train.count()
     level = F.floor(F.log2("c") * 8).cast("int")
@@ -282,8 +300,10 @@ def corpus(train: DataFrame) -> tuple[DataFrame, Totals, np.ndarray, np.ndarray,
     hh, hc = hh[order], hc[order]
     top = counts.orderBy(F.desc("c"), "h").limit(WORDS - 1).collect()
     own = np.array([r["h"] for r in top], np.int64)
-    rest = n - ends - sum(r["c"] for r in top) + SMOOTH * (v - (ends > 0) - len(top) + 1)
-    return counts, Totals(n, v, ends, float(rest)), own, hh, hc
+    rest = n - ends - sum(r["c"] for r in top)
+    seen = np.zeros(WORDS + 1)
+    seen[: len(top) + 1], seen[REST] = [ends, *(r["c"] for r in top)], rest
+    return counts, Totals(n, v, ends, float(rest + SMOOTH * (v - (ends > 0) - len(top) + 1))), own, seen, hh, hc
 
 
 def ids_of(h: np.ndarray, owner: np.ndarray, n_texts: int, own_sorted: np.ndarray, own_id: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -300,7 +320,8 @@ def ids_of(h: np.ndarray, owner: np.ndarray, n_texts: int, own_sorted: np.ndarra
     return out, off
 
 
-def train_network(train: DataFrame, total: int, own: np.ndarray, rows: int = TRAIN_DOCS) -> Network:
+def word_ids(train: DataFrame, own: np.ndarray) -> DataFrame:
+    """The network's ids of every row's words, as 16-bit integers."""
     order = np.argsort(own)
     own_sorted, own_id = own[order], order + 1
 
@@ -308,12 +329,60 @@ def train_network(train: DataFrame, total: int, own: np.ndarray, rows: int = TRA
         for b in batches:
             for slab in slabs(b.column(0)):
                 ids, off = ids_of(*words(slab), len(slab), own_sorted, own_id)
-                yield pa.RecordBatch.from_arrays([b.column(1)[slab.lo : slab.lo + len(slab)], pa.array([ids[off[i] : off[i + 1]].astype("<i2").tobytes() for i in range(len(slab))], pa.binary())], ["doc_id", "ids"])
+                yield pa.RecordBatch.from_arrays([pa.array([ids[off[i] : off[i + 1]].astype("<i2").tobytes() for i in range(len(slab))], pa.binary())], ["ids"])
+
+    return train.select(F.col("text").cast("string")).mapInArrow(work, "ids binary")
 
-    part = train.where(F.pmod(F.xxhash64("doc_id", F.lit(10)), F.lit(1_000_000)) < int(1_000_000 * rows / total)) if total > rows else train
-    got = part.select(F.col("text").cast("string"), F.col("doc_id").cast("long")).mapInArrow(work, "doc_id long, ids binary").toPandas()
-    got = got.sort_values(["doc_id", "ids"], kind="stable")
-    return fit([np.frombuffer(x, "<i2") for x in got["ids"]], len(own) + 1)
+
+def one_pass(texts: DataFrame, net: Network, rate: float, seed: int) -> np.ndarray:
+    """Train on all ``texts``, each partition by itself from ``net``, which then takes the averaged weights. Returns how
+    often each id was seen."""
+    kept = texts.sparkSession.sparkContext.broadcast((net.p, net.n_words))
+
+    def work(batches):
+        p, n_words = kept.value
+        mine, part = Network(n_words), TaskContext.get().partitionId()
+        mine.p = {k: v.copy() for k, v in p.items()}
+        rng = np.random.default_rng((seed, part))
+        held, n, count = [], 0, np.zeros(WORDS + 1, np.int64)
+        for b in batches:
+            for x in b.column(0):
+                held.append(np.frombuffer(x.as_py(), "<i2"))
+                n += len(held[-1])
+                if n >= CHUNK:
+                    count += learn(mine, held, rate, rng)
+                    held, n = [], 0
+        if n:
+            count += learn(mine, held, rate, rng)
+        if count.sum():
+            by = weights(mine, count)
+            sums = np.concatenate([(v * by[k]).ravel() for k, v in mine.p.items()] + [count])
+            yield pa.RecordBatch.from_arrays([pa.array([part // FAN]), pa.array([sums.astype("<f8").tobytes()], pa.binary())], ["slot", "sums"])
+
+    def added(t: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x.as_py(), "<f8") for x in t.column("sums"))
+        return pa.table({"sums": pa.array([total.tobytes()], pa.binary())})
+
+    got = texts.mapInArrow(work, "slot long, sums binary").groupBy("slot").applyInArrow(added, "sums binary").collect()
+    total = sum(np.frombuffer(r["sums"], "<f8") for r in got)
+    count, at = total[-WORDS - 1 :], 0
+    by = weights(net, count)
+    for k, v in net.p.items():
+        w = np.broadcast_to(by[k], v.shape)
+        mean = total[at : at + v.size].reshape(v.shape) / np.maximum(w, 1)
+        net.p[k] = np.where(w > 0, mean, v).astype(np.float32)
+        at += v.size
+    return count
+
+
+def train_network(train: DataFrame, own: np.ndarray, seen: np.ndarray, rate: float = 0.02, seed: int = 5) -> Network:
+    """The network after ``PASSES`` passes over every row of ``train``."""
+    net = start(seen, len(own) + 1, seed)
+    if seen.sum():
+        texts = staged(word_ids(train, own), "ids")
+        for pass_ in range(PASSES):
+            one_pass(texts, net, rate * 0.5**pass_, seed + pass_)
+    return net
 
 
 SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, model double, n_rest long, rest_log double, tail array<struct<h:long,k:int>>"
@@ -372,8 +441,8 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
 def language_model(docs: DataFrame) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of ``docs`` (doc_id, text)."""
     train = docs.where(remainder("doc_id", 10) != 0)
-    counts, totals, own, head, head_count = corpus(train)
-    net = train_network(train, totals.ends, own)
+    counts, totals, own, seen, head, head_count = corpus(train)
+    net = train_network(train, own, seen)
     rows = staged(row_scores(docs, totals, own, head, head_count, net), "scored")
     far = rows.select("row", F.inline("tail")).join(counts, "h", "left").select("row", "k", F.coalesce("c", F.lit(0)).alias("c"))
     far = far.groupBy("row").agg(

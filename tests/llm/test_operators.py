@@ -588,3 +588,19 @@ def test_score_carries_the_state():
             total += float(net.outputs(h, np.array([int(w)]))[0])
             prev = int(w)
         assert abs(total - g) < 1e-3
+
+
+def test_network_sees_every_training_text(spark, monkeypatch):
+    """All texts count, also beyond the 2,500 that were once the bound, and a word that a single partition has moves."""
+    seen = []
+    kept = gru_lm.one_pass
+    monkeypatch.setattr(gru_lm, "one_pass", lambda *a: seen.append(kept(*a)))
+    monkeypatch.setattr(gru_lm, "CHUNK", 5000)
+    d = spark.range(6000).repartition(5).selectExpr("id AS doc_id", "concat('the cat ', id % 7, CASE WHEN id = 4321 THEN repeat(' rare bird', 40) ELSE '' END) AS text")
+    _, totals, own, count, _, _ = gru_lm.corpus(d)
+    net = gru_lm.train_network(d, own, count)
+    assert len(seen) == gru_lm.PASSES and all((c == count).all() for c in seen) and count.sum() == totals.n == 24080
+    fresh = gru_lm.start(count, len(own) + 1)
+    rare = [i + 1 for i in range(len(own)) if count[i + 1] == 40]
+    assert len(rare) == 2 and np.abs(net.p["entry"][rare] - fresh.p["entry"][rare]).max() > 0.02
+    assert all(np.isfinite(v).all() and v.dtype == np.float32 for v in net.p.values())
