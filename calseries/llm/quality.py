@@ -23,11 +23,13 @@ from .textkit import LETTER, LOWER, SPACE, U, Slab, hash_runs, mix, runs, slabs,
 travels(__name__)
 
 #: Labelled documents that vectors and network are fitted on, at most about.
-TRAIN_DOCS = 4000
+TRAIN_DOCS = 6000
 BITS = 15
 DIM, ONES = 48, 4
 HIDDEN = 24
 NEAR = 2
+#: Pairs of neighbours that are added up at a time.
+BLOCK = 1 << 19
 THRESHOLD = 0.7
 EXTRA = 5
 
@@ -66,11 +68,13 @@ def word_vectors(bucket: np.ndarray, owner: np.ndarray) -> np.ndarray:
     place, sign = index_vectors()
     total = np.zeros((1 << BITS) * DIM)
     for d in range(1, NEAR + 1):
-        same = owner[d:] == owner[:-d] if len(owner) > d else np.zeros(0, bool)
-        a, b = bucket[:-d][same], bucket[d:][same]
-        for left, right in ((a, b), (b, a)):
-            for k in range(ONES):
-                total += np.bincount(left * DIM + place[right, k], weights=sign[right, k], minlength=len(total))
+        for lo in range(0, len(owner) - d, BLOCK):
+            hi = min(lo + BLOCK, len(owner) - d)
+            same = owner[lo + d : hi + d] == owner[lo:hi]
+            a, b = bucket[lo:hi][same].astype(np.int64), bucket[lo + d : hi + d][same].astype(np.int64)
+            for left, right in ((a, b), (b, a)):
+                for k in range(ONES):
+                    total += np.bincount(left * DIM + place[right, k], weights=sign[right, k], minlength=len(total))
     context = total.reshape(-1, DIM)
     context -= context.sum(0) / max(1, len(bucket)) * np.bincount(bucket, minlength=1 << BITS)[:, None]
     context /= np.maximum(np.linalg.norm(context, axis=1, keepdims=True), 1e-9)
@@ -165,8 +169,8 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_DOCS, modulus: i
     if len(y) == 0 or y.min() == y.max():
         return Network(flat=float(y[0]) if len(y) else 0.5)
     parts = [np.frombuffer(v, "<u2") for v in got["tokens"]]
-    bucket = np.concatenate(parts).astype(np.int64)
-    owner = np.repeat(np.arange(len(parts)), [len(p) for p in parts])
+    bucket = np.concatenate(parts)
+    owner = np.repeat(np.arange(len(parts), dtype=np.int32), [len(p) for p in parts])
     vectors = word_vectors(bucket, owner)
     extra = np.stack(got["extra"].to_list())
     pooled = []

@@ -22,7 +22,7 @@ from .textkit import LETTER, LOWER, U, Slab, distinct_by_text, hash_runs, runs,
 travels(__name__)
 
 #: Labelled documents that the machine is fitted on, at most about.
-TRAIN_DOCS = 6000
+TRAIN_DOCS = 12000
 BITS = 20
 FACTORS = 4
 MIN_DOCS = 4

@@ -604,3 +604,21 @@ def test_network_sees_every_training_text(spark, monkeypatch):
     rare = [i + 1 for i in range(len(own)) if count[i + 1] == 40]
     assert len(rare) == 2 and np.abs(net.p["entry"][rare] - fresh.p["entry"][rare]).max() > 0.02
     assert all(np.isfinite(v).all() and v.dtype == np.float32 for v in net.p.values())
+
+
+@pytest.mark.parametrize("module,step,column,rows", [(toxicity, "learn", "toxic", 11000), (quality, "fit", "quality", 5500)])
+def test_samples_keep_their_bounds(spark, monkeypatch, module, step, column, rows):
+    """As many labelled rows as the bounds name, 12,000 and 6,000, are all learned from."""
+    seen, real = [], getattr(module, step)
+    monkeypatch.setattr(module, step, lambda *a: seen.append([len(x) for x in a]) or real(*a))
+    d = spark.range(rows).selectExpr("id AS doc_id", "concat('word ', id % 5, IF(id % 3 = 0, ' bad', ' good')) AS text")
+    module.train(d, d.selectExpr("doc_id", f"IF(doc_id % 3 = 0, 1, 0) AS {column}"), modulus=1, left_out=-1)
+    assert rows in seen[0]
+
+
+def test_word_vectors_by_blocks(monkeypatch):
+    rng = np.random.default_rng(1)
+    bucket, owner = rng.integers(0, 900, 5000).astype(np.uint16), np.sort(rng.integers(0, 70, 5000)).astype(np.int32)
+    whole = quality.word_vectors(bucket, owner)
+    monkeypatch.setattr(quality, "BLOCK", 37)
+    assert np.allclose(quality.word_vectors(bucket, owner), whole, atol=1e-6)
