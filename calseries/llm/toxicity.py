@@ -3,7 +3,8 @@
 A text's terms are its words and their first letters (stems, so that compounds and endings count), lower-cased and
 hashed. The machine's score is a bias, a weight for each term that occurs, and for each pair of terms the product of
 their factors, so that two harmless terms can be toxic together. Weights are learned on a bounded sample of labelled
-documents; only terms that occur in enough of them carry weights, so the length of a text doesn't add noise.
+documents; every term that occurs in enough of them carries a weight and factors. Terms that tell by themselves learn
+first, and all terms then learn together from what those leave unexplained.
 
 Defined cases: a null or empty text has no terms and gets the bias alone; without usable labels every score is the
 share of label 1, or 0; repeated rows and null ids are rows like others.
@@ -26,6 +27,8 @@ TRAIN_DOCS = 12000
 BITS = 20
 FACTORS = 4
 MIN_DOCS = 4
+#: Of the terms that learn later: the size of their first factors as a share, and what their steps are divided by at first.
+LATER, DAMP = 0.25, 1e-2
 STEMS = (4, 5, 6)
 THRESHOLD = 0.7
 
@@ -92,17 +95,23 @@ def learn(y: np.ndarray, bucket: np.ndarray, off: np.ndarray, epochs: int = 12,
     df = np.bincount(bucket, minlength=1 << BITS)
     owner = np.repeat(np.arange(n, dtype=np.int32), np.diff(off))
     hits = np.bincount(bucket[y[owner] == 1], minlength=1 << BITS)
-    # only terms whose share of label 1 differs from the whole's by more than chance explains
-    spread = np.abs(hits - df * share) / np.sqrt(df * share * (1 - share) + 1e-9)
-    kept = np.flatnonzero((df >= min(MIN_DOCS, max(2, n // 200))) & (spread > 2.5))
+    kept = np.flatnonzero(df >= min(MIN_DOCS, max(2, n // 200)))
+    # terms whose share of label 1 differs from the whole's by more than chance explains learn first, then all of them on
+    # what is left unexplained: what is neutral alone may matter in a pair
+    first_ = np.abs(hits - df * share)[kept] > 2.5 * np.sqrt(df[kept] * share * (1 - share) + 1e-9)
     model.index[kept] = np.arange(len(kept))
-    w, v = np.zeros(len(kept)), rng.normal(0, 0.02, (len(kept), FACTORS))
-    at = model.index[bucket]
-    known = at >= 0
-    at, owner = at[known], owner[known]
-    cut = np.searchsorted(owner, np.arange(n + 1))
-    gw, gv, gb, bias = np.full(len(kept), 1e-6), np.full(v.shape, 1e-6), 1e-6, model.bias
-    for _ in range(epochs):
+    w, v = np.zeros(len(kept)), rng.normal(0, 0.02, (len(kept), FACTORS)) * np.where(first_, 1, LATER)[:, None]
+    every = model.index[bucket]
+    # the others' steps begin smaller, since rare terms would else learn single texts by heart
+    gw, gb, bias = np.where(first_, 1e-6, DAMP), 1e-6, model.bias
+    gv = np.repeat(gw[:, None], FACTORS, 1)
+    for epoch in range(2 * epochs):
+        if epoch in (0, epochs):
+            known = every >= 0
+            if epoch == 0:
+                known[known] = first_[every[known]]
+            at, rows = every[known], owner[known]
+            cut = np.searchsorted(rows, np.arange(n + 1))
         order = rng.permutation(n)
         for lo in range(0, n, 256):
             docs = order[lo : lo + 256]

@@ -622,3 +622,25 @@ def test_word_vectors_by_blocks(monkeypatch):
     whole = quality.word_vectors(bucket, owner)
     monkeypatch.setattr(quality, "BLOCK", 37)
     assert np.allclose(quality.word_vectors(bucket, owner), whole, atol=1e-6)
+
+
+def test_machine_learns_a_pair_of_neutral_terms():
+    """Each term is as frequent in either label; only whether both or neither occur tells."""
+    rng = random.Random(3)
+
+    def drawn():
+        texts, y = [], []
+        for _ in range(3000):
+            a, b = rng.random() < 0.5, rng.random() < 0.5
+            words = [f"filler{rng.randrange(60)}" for _ in range(12)] + ["group"] * a + ["insult"] * b
+            rng.shuffle(words)
+            texts.append(" ".join(words))
+            y.append(int(a == b))
+        return pa.array(texts), np.array(y)
+
+    texts, y = drawn()
+    found = [toxicity.terms(slab) for slab in packing.slabs(texts)]
+    sizes = np.concatenate([np.bincount(owner, minlength=len(slab)) for (_, owner), slab in zip(found, packing.slabs(texts), strict=True)])
+    model = toxicity.learn(y, np.concatenate([bucket for bucket, _ in found]), np.r_[0, np.cumsum(sizes)])
+    texts, y = drawn()
+    assert ((toxicity.score_batch(texts, model) > 0.5) == y).mean() > 0.9
