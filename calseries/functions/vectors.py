@@ -61,15 +61,20 @@ def dtw(pairs: DataFrame, x: str = "x", y: str = "y", band: int | None = None) -
 
 
 def knn(queries: DataFrame, vectors: DataFrame, k: int, most_queries: int = 10_000) -> DataFrame:
-    """(query_id, vec_id, distance, rank): the ``k`` nearest of ``vectors`` (vec_id, embedding) for each query row. The
-    queries are a bounded set, checked, and travel to every block of vectors; ties go to the smaller id."""
-    if queries.limit(most_queries + 1).count() > most_queries:
-        raise ValueError(f"more than {most_queries} queries")
-    q = queries.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("_q"))
-    rows = vectors.join(F.broadcast(q), F.col("vec_id") != F.col("query_id"))
-    d = snap(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy("distance", "vec_id"))
-    return rows.select("query_id", "vec_id", d.alias("distance")).withColumn("rank", rank).where(F.col("rank") <= k)
+    """(query_id, vec_id, distance, rank): the ``k`` nearest of ``vectors`` (vec_id, embedding) for each query row. Any
+    number of queries is worked through in blocks of about ``most_queries``, dealt by a hash of the id, each of which
+    travels to every block of vectors; ties go to the smaller id."""
+    blocks = max(1, math.ceil(queries.count() / most_queries))
+    out = None
+    for i in range(blocks):
+        part = queries if blocks == 1 else queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == i)
+        q = part.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("_q"))
+        rows = vectors.join(F.broadcast(q), F.col("vec_id") != F.col("query_id"))
+        d = snap(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
+        rank = F.row_number().over(Window.partitionBy("query_id").orderBy("distance", "vec_id"))
+        near = rows.select("query_id", "vec_id", d.alias("distance")).withColumn("rank", rank).where(F.col("rank") <= k)
+        out = near if out is None else out.unionAll(near)
+    return out
 
 
 # ---- reductions -------------------------------------------------------------------------------------------------------

@@ -186,3 +186,13 @@ def test_dtw():
         for j in range(1, 10):
             full[i, j] = abs(x[i - 1] - y[j - 1]) + min(full[i - 1, j], full[i, j - 1], full[i - 1, j - 1])
     assert abs(dtw_arrays(x, y) - full[12, 9]) < 1e-12 and dtw_arrays(x, x, 2) == 0
+
+
+def test_knn_takes_more_queries_than_a_block(spark):
+    from pyspark.sql import functions as F
+
+    from calseries.functions.vectors import knn
+
+    v = spark.range(40).select(F.col("id").alias("vec_id"), F.array(F.col("id") % 7, F.col("id") * 0.5).alias("embedding"))
+    want, got = (sorted(tuple(r) for r in knn(v, v, 3, most).collect()) for most in (10_000, 15))
+    assert len(want) == 120 and got == want
