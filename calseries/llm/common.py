@@ -53,13 +53,12 @@ def shared_dir(spark: SparkSession) -> str:
     return current.get().rstrip("/")
 
 
-def staged(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder as Parquet and read it back: its lineage ends there.
-
-    The folder goes when the driver's Python ends."""
+def staged(df: DataFrame, label: str, *by: str) -> DataFrame:
+    """Write ``df`` to the shared folder as Parquet, in folders by the columns ``by``, and read it back: its lineage
+    ends there. The folder goes when the driver's Python ends."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/calseries-{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(*by) if by else df.write).parquet(path)
     atexit.register(_remove, spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -80,6 +79,13 @@ def stash(key: str, make):
     return getattr(kept, key)
 
 
+def in_share(hashed: Column, rows: int, total: int) -> Column:
+    """Whether a row with this 64-bit hash is one of about ``rows`` of ``total``, however large the total is."""
+    if rows >= total:
+        return F.lit(True)
+    return hashed < F.lit((rows << 64) // total - (1 << 63))
+
+
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, left_out: int, rows: int) -> DataFrame:
     """(doc_id, text, y) of at most about ``rows`` labelled documents outside the held-out fold.
 
@@ -91,8 +97,5 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int
         .where(F.col("y").isin(0, 1) & F.col("doc_id").isNotNull() & (remainder("doc_id", modulus) != left_out))
         .groupBy("doc_id").agg(F.max("y").alias("y"))
     )
-    total = marks.count()
-    if total > rows:
-        share = int(1_000_000 * rows / total)
-        marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share)
+    marks = marks.where(in_share(F.xxhash64("doc_id"), rows, marks.count()))
     return docs.select("doc_id", "text").join(F.broadcast(marks), "doc_id")  # about ``rows`` ids at most

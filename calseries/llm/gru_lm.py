@@ -1,11 +1,12 @@
 """A gated recurrent language model over words, and the unigram base that it is held against.
 
 Counts of all training words are exact, by 64-bit word hash. The commonest ``WORDS`` words (with the end mark) are the
-network's own; the output is factored into classes of like frequency and words within a class, and one more class
-holds every other word, by smoothed counts inside it, so that a text's probability is whole. Training is truncated
-backpropagation in numpy over every training text: in each pass every partition goes on from the same weights over its
-own texts, and the weights that they end with are averaged. Scoring carries the state through a text from its first
-word to its last, many texts side by side, window after window.
+network's own; the output is factored into classes, small ones of frequent words and large ones of rarer words, and
+words within a class; one more class holds every other word, by smoothed counts inside it, so that a text's probability is whole. Training is truncated
+backpropagation in numpy over every training text, each read once: the texts are dealt into ``ROUNDS``; in each round
+every partition goes on from the same weights over its texts of that round, and the weights that they end with are
+averaged, tree-wise. Scoring carries the state through a text from its first word to its last, many texts side by side,
+window after window.
 
 Words beyond a broadcast head of the counts (bounded by ``HEAD``) meet their counts in a join.
 
@@ -28,12 +29,14 @@ from .textkit import LOWER, SPACE, Slab, hash_runs, per_text, runs, slabs, spans
 
 travels(__name__)
 
-#: Words of the network, the end mark included; classes of equal size; width of the state and of a word's entry.
-WORDS, CLASSES, STATE, ENTRY = 1024, 32, 16, 12
-#: Passes over all training texts; steps of a window; texts side by side.
-PASSES, WINDOW, LANES = 3, 24, 96
+#: Words of the network, the end mark included; their classes; width of the state and of a word's entry.
+WORDS, CLASSES, STATE, ENTRY = 4096, 48, 24, 16
+#: Rounds that all training texts are dealt into; steps of a window; texts side by side.
+ROUNDS, WINDOW, LANES = 3, 24, 384
 #: Words of the texts that a task shuffles and trains on at a time; partitions whose weights one group adds up.
-CHUNK, FAN = 1 << 20, 8
+CHUNK, FAN = 1 << 20, 16
+#: Outputs that scoring works out together, at least.
+BLOCK = 4096
 #: Most words whose counts are broadcast (16 bytes each).
 HEAD = 1 << 19
 SMOOTH = 0.1
@@ -86,18 +89,17 @@ def count_words(docs: DataFrame) -> DataFrame:
 # ---- the network ----------------------------------------------------------------------------------------------------
 
 
-def _sig(x):
-    return 0.5 * np.tanh(0.5 * x) + 0.5
-
-
 class Network:
     """Entries, gates and factored outputs; words are ids by rank, END the first and REST the last."""
 
     def __init__(self, n_words: int, seed: int = 5):
         rng = np.random.default_rng(seed)
-        self.per = max(1, -(-n_words // CLASSES))
         self.n_words = n_words
-        self.used = -(-n_words // self.per)  # classes that have words
+        self.used = min(CLASSES, n_words)  # classes that have words: their borders go with the square, as ranks get rarer
+        edges = np.floor((np.arange(self.used + 1) / self.used) ** 2 * n_words).astype(int)
+        self.edges = np.maximum(edges, np.arange(self.used + 1))
+        self.cls = np.full(WORDS + 1, CLASSES)
+        self.cls[:n_words] = np.repeat(np.arange(self.used), np.diff(self.edges))
         f = np.float32
         self.p = {
             "entry": rng.normal(0, 0.3, (WORDS + 1, ENTRY)).astype(f), "wx": rng.normal(0, ENTRY**-0.5, (ENTRY, 3 * STATE)).astype(f),
@@ -108,95 +110,115 @@ class Network:
         self.moments = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in self.p.items()}
         self.t = 0
 
-    def class_of(self, ids: np.ndarray) -> np.ndarray:
-        return np.where(ids == REST, CLASSES, ids // self.per)
-
     def step(self, gate_x: np.ndarray, h: np.ndarray) -> tuple:
         s = STATE
         gh = h @ self.p["wh"]
-        zr = _sig(gate_x[:, : 2 * s] + gh[:, : 2 * s])
+        zr = gate_x[:, : 2 * s] + gh[:, : 2 * s]
+        zr *= np.float32(0.5)  # the logistic function by the hyperbolic tangent
+        np.tanh(zr, out=zr)
+        zr += 1
+        zr *= np.float32(0.5)
         z, r = zr[:, :s], zr[:, s:]
-        n = np.tanh(gate_x[:, 2 * s :] + r * gh[:, 2 * s :])
-        return n + z * (h - n), z, r, n, gh[:, 2 * s :]
+        n = r * gh[:, 2 * s :]
+        n += gate_x[:, 2 * s :]
+        np.tanh(n, out=n)
+        new = h - n
+        new *= z
+        new += n
+        return new, z, r, n, gh[:, 2 * s :]
 
     def outputs(self, h: np.ndarray, ids: np.ndarray, learn: bool = False):
         """Natural log-probability of each id after each state; with ``learn`` also gradients."""
-        p, cls = self.p, self.class_of(ids)
-        logit = h @ p["wc"] + p["bc"]
-        logit[:, self.used : CLASSES] = -1e9
-        logit -= logit.max(1, keepdims=True)
-        ex = np.exp(logit)
-        total = ex.sum(1, keepdims=True)
+        p, cls = self.p, self.cls[ids]
+        ex = h @ p["wc"] + p["bc"]
+        ex[:, self.used : CLASSES] = -1e9
+        ex -= ex.max(1, keepdims=True)
         rows = np.arange(len(ids))
-        out = logit[rows, cls] - np.log(total[:, 0])
+        out = ex[rows, cls]
+        np.exp(ex, out=ex)
+        total = ex.sum(1, keepdims=True)
+        out = out - np.log(total[:, 0])
         grads = None
         if learn:
-            d = ex / total
-            d[rows, cls] -= 1
-            grads = {"wc": h.T @ d, "bc": d.sum(0), "wo": np.zeros_like(p["wo"]), "bo": np.zeros_like(p["bo"])}
-            dh = d @ p["wc"].T
-        order = np.argsort(cls, kind="stable")
-        cut = np.searchsorted(cls[order], np.arange(CLASSES + 2))
-        for k in range(CLASSES):
+            ex /= total
+            ex[rows, cls] -= 1
+            grads = {"wc": h.T @ ex, "bc": ex.sum(0), "wo": np.zeros_like(p["wo"]), "bo": np.zeros_like(p["bo"])}
+            dh = ex @ p["wc"].T
+        order = np.argsort(cls.astype(np.uint8), kind="stable")
+        cut = np.searchsorted(cls[order], np.arange(CLASSES + 1))
+        for k in range(self.used):
+            lo, hi = self.edges[k], self.edges[k + 1]
             mine = order[cut[k] : cut[k + 1]]
-            if not len(mine):
+            if not len(mine) or hi - lo == 1:  # a word alone in its class is certain there
                 continue
-            lo, hi = k * self.per, min((k + 1) * self.per, self.n_words)
             x = h[mine]
-            logit = x @ p["wo"][lo:hi].T + p["bo"][lo:hi]
-            logit -= logit.max(1, keepdims=True)
-            ex = np.exp(logit)
-            total = ex.sum(1, keepdims=True)
+            ex = x @ p["wo"][lo:hi].T + p["bo"][lo:hi]
+            ex -= ex.max(1, keepdims=True)
             at = ids[mine] - lo
             sub = np.arange(len(mine))
-            out[mine] += logit[sub, at] - np.log(total[:, 0])
+            got = ex[sub, at]
+            np.exp(ex, out=ex)
+            total = ex.sum(1, keepdims=True)
+            out[mine] += got - np.log(total[:, 0])
             if learn:
-                d = ex / total
-                d[sub, at] -= 1
-                grads["wo"][lo:hi] = d.T @ x
-                grads["bo"][lo:hi] = d.sum(0)
-                dh[mine] += d @ p["wo"][lo:hi]
+                ex /= total
+                ex[sub, at] -= 1
+                grads["wo"][lo:hi] = ex.T @ x
+                grads["bo"][lo:hi] = ex.sum(0)
+                dh[mine] += ex @ p["wo"][lo:hi]
         return (out, grads, dh) if learn else out
 
     def train_window(self, ids: np.ndarray, prev: np.ndarray, h: np.ndarray, rate: float) -> np.ndarray:
         """One window of truncated backpropagation; ``ids`` and ``prev`` are steps by lanes. Returns the last state."""
-        p, s, steps = self.p, STATE, len(ids)
-        x = p["entry"][prev]
-        gx = x @ p["wx"] + p["b"]
-        keep, hs = [], []
+        p, s, (steps, lanes) = self.p, STATE, ids.shape
+        x = p["entry"][prev.ravel()]
+        gx = (x @ p["wx"] + p["b"]).reshape(steps, lanes, 3 * s)
+        alive = (prev != END).astype(np.float32)[:, :, None]
+        was, z, r, n, ghn, out = (np.empty((steps, lanes, s), np.float32) for _ in range(6))
         for t in range(steps):
-            h = np.where((prev[t] == END)[:, None], np.float32(0), h)
-            new = self.step(gx[t], h)
-            keep.append((h, *new[1:]))
-            h = new[0]
-            hs.append(h)
-        flat = np.concatenate(hs)
-        _, g, dout = self.outputs(flat, ids.ravel(), learn=True)
-        dout = dout.reshape(steps, -1, s)
-        dgx = np.zeros_like(gx)
-        g["wh"] = np.zeros_like(p["wh"])
+            was[t] = h * alive[t]
+            out[t], z[t], r[t], n[t], ghn[t] = self.step(gx[t], was[t])
+            h = out[t]
+        _, g, dout = self.outputs(out.reshape(-1, s), ids.ravel(), learn=True)
+        dout = dout.reshape(steps, lanes, s)
+        # what each step's state passes to its gates, but for the gradient that comes from later steps
+        to_n = (1 - z) * (1 - n * n)
+        to_z = (was - n) * z * (1 - z)
+        to_r = ghn * r * (1 - r)
+        dgh = np.empty((steps, lanes, 3 * s), np.float32)
+        d = np.empty_like(dgh)
+        back = np.ascontiguousarray(p["wh"].T)
         carry = np.zeros_like(h)
         for t in range(steps - 1, -1, -1):
-            h0, z, r, n, ghn = keep[t]
             dh = dout[t] + carry
-            dz, dn = dh * (h0 - n), dh * (1 - z)
-            dn_in = dn * (1 - n * n)
-            dr = dn_in * ghn
-            dgx[t] = np.concatenate([dz * z * (1 - z), dr * r * (1 - r), dn_in], 1)
-            dgh = np.concatenate([dgx[t][:, : 2 * s], dn_in * r], 1)
-            g["wh"] += h0.T @ dgh
-            carry = (dh * z + dgh @ p["wh"].T) * (prev[t] != END)[:, None]
-        d = dgx.reshape(-1, 3 * s)
-        g["wx"], g["b"] = x.reshape(-1, ENTRY).T @ d, d.sum(0)
+            dn = dh * to_n[t]
+            np.multiply(dh, to_z[t], out=dgh[t, :, :s])
+            np.multiply(dn, to_r[t], out=dgh[t, :, s : 2 * s])
+            np.multiply(dn, r[t], out=dgh[t, :, 2 * s :])
+            d[t, :, 2 * s :] = dn
+            carry = dgh[t] @ back
+            dh *= z[t]
+            carry += dh
+            carry *= alive[t]
+        d[:, :, : 2 * s] = dgh[:, :, : 2 * s]
+        g["wh"] = was.reshape(-1, s).T @ dgh.reshape(-1, 3 * s)
+        d = d.reshape(-1, 3 * s)
+        g["wx"], g["b"] = x.T @ d, d.sum(0)
         dx = d @ p["wx"].T
-        g["entry"] = np.stack([np.bincount(prev.ravel(), weights=dx[:, k], minlength=WORDS + 1) for k in range(ENTRY)], 1)
+        order = np.argsort(prev.ravel().astype(np.uint16), kind="stable")
+        there = prev.ravel()[order]
+        first = np.flatnonzero(np.r_[True, there[1:] != there[:-1]])
+        g["entry"] = np.zeros_like(p["entry"])
+        g["entry"][there[first]] = np.add.reduceat(dx[order], first, axis=0)
         self.t += 1
         for k, v in g.items():
-            v = (v / ids.size).astype(np.float32)
+            v *= np.float32(1 / ids.size)
             m1, m2 = self.moments[k]
-            m1 += 0.1 * (v - m1)
-            m2 += 0.001 * (v * v - m2)
-            p[k] -= rate * (m1 / (1 - 0.9**self.t)) / (np.sqrt(m2 / (1 - 0.999**self.t)) + 1e-6)
+            m1 += np.float32(0.1) * (v - m1)
+            v *= v
+            v -= m2
+            m2 += np.float32(0.001) * v
+            p[k] -= np.float32(rate / (1 - 0.9**self.t)) * m1 / (np.sqrt(m2 * np.float32(1 / (1 - 0.999**self.t))) + np.float32(1e-6))
         return h
 
     def score(self, ids: np.ndarray, off: np.ndarray, lanes: int = 512) -> np.ndarray:
@@ -210,9 +232,12 @@ class Network:
             n, base = size[mine], off[mine]
             h = np.zeros((len(mine), STATE), np.float32)
             prev = np.full(len(mine), END)
-            for t0 in range(0, int(n[0]), WINDOW):
+            t0 = 0
+            while t0 < int(n[0]):
                 hs, goal, who = [], [], []
-                for t in range(t0, min(t0 + WINDOW, int(n[0]))):
+                # the fewer texts go on, the more steps share the work on outputs
+                t1 = t0 + max(WINDOW, BLOCK // int(np.searchsorted(-n, -t0, "left")))
+                for t in range(t0, min(t1, int(n[0]))):
                     k = int(np.searchsorted(-n, -t, "left"))
                     h, prev = h[:k], prev[:k]
                     h = self.step(table_[prev], h)[0]
@@ -220,6 +245,7 @@ class Network:
                     hs.append(h)
                     goal.append(prev)
                     who.append(k)
+                t0 = t1
                 got = self.outputs(np.concatenate(hs), np.concatenate(goal))
                 owner = np.concatenate([np.arange(k) for k in who])
                 out[mine] += np.bincount(owner, weights=got, minlength=len(mine))
@@ -234,10 +260,9 @@ def start(count: np.ndarray, n_words: int, seed: int = 5) -> Network:
             net.p[k][:] = 0
         return net
     c = count + 0.5
-    for k in range(CLASSES):
-        net.p["bc"][k] = np.log(max(c[k * net.per : min((k + 1) * net.per, n_words)].sum(), 0.5))
+    net.p["bc"][: net.used] = np.log(np.add.reduceat(c[:n_words], net.edges[:-1]))
     net.p["bc"][CLASSES] = np.log(c[REST])
-    net.p["bc"] -= net.p["bc"].mean()
+    net.p["bc"] -= net.p["bc"][[*range(net.used), CLASSES]].mean()
     net.p["bo"][:] = np.log(c[:WORDS])
     net.p["bo"] -= net.p["bo"][:n_words].mean()
     return net
@@ -246,7 +271,7 @@ def start(count: np.ndarray, n_words: int, seed: int = 5) -> Network:
 def learn(net: Network, texts: list[np.ndarray], rate: float, rng: np.random.Generator) -> np.ndarray:
     """Train once over texts of word ids that end in END. Returns how often each id occurs."""
     stream = np.concatenate([texts[i] for i in rng.permutation(len(texts))]).astype(np.int64)
-    lanes = max(1, min(LANES, len(stream) // (2 * WINDOW)))
+    lanes = max(1, min(LANES, len(stream) // (32 * WINDOW)))
     each = -(-len(stream) // lanes)
     ids = np.resize(stream, lanes * each).reshape(lanes, each).T  # the last lane is filled up from the stream's start
     prev = np.concatenate([np.full((1, lanes), END), ids[:-1]])
@@ -261,10 +286,9 @@ def weights(net: Network, count: np.ndarray) -> dict[str, np.ndarray]:
 
     A word's entry counts by the word and its output by its class, so that a word of few partitions isn't thinned out
     by the others, which leave it where it was."""
-    cls = np.add.reduceat(count[: net.used * net.per].astype(float), np.arange(0, net.used * net.per, net.per)[: net.used])
+    by_class = np.add.reduceat(count[: net.n_words].astype(float), net.edges[:-1])
     out = np.zeros(WORDS)
-    n = min(WORDS, net.used * net.per)
-    out[:n] = np.repeat(cls, net.per)[:n]
+    out[: net.n_words] = by_class[net.cls[: net.n_words]]
     return {k: {"entry": count[:, None], "wo": out[:, None], "bo": out}.get(k, float(count.sum())) for k in net.p}
 
 
@@ -321,21 +345,25 @@ def ids_of(h: np.ndarray, owner: np.ndarray, n_texts: int, own_sorted: np.ndarra
 
 
 def word_ids(train: DataFrame, own: np.ndarray) -> DataFrame:
-    """The network's ids of every row's words, as 16-bit integers."""
+    """(round, ids): the round that each row is dealt to, and the network's ids of its words, as 16-bit integers."""
     order = np.argsort(own)
     own_sorted, own_id = own[order], order + 1
 
     def work(batches):
+        at = TaskContext.get().partitionId()
         for b in batches:
             for slab in slabs(b.column(0)):
-                ids, off = ids_of(*words(slab), len(slab), own_sorted, own_id)
-                yield pa.RecordBatch.from_arrays([pa.array([ids[off[i] : off[i + 1]].astype("<i2").tobytes() for i in range(len(slab))], pa.binary())], ["ids"])
+                n = len(slab)
+                ids, off = ids_of(*words(slab), n, own_sorted, own_id)
+                ids = [ids[off[i] : off[i + 1]].astype("<i2").tobytes() for i in range(n)]
+                yield pa.RecordBatch.from_arrays([pa.array((at + np.arange(n)) % ROUNDS, pa.int32()), pa.array(ids, pa.binary())], ["round", "ids"])
+                at += n
 
-    return train.select(F.col("text").cast("string")).mapInArrow(work, "ids binary")
+    return train.select(F.col("text").cast("string")).mapInArrow(work, "round int, ids binary")
 
 
-def one_pass(texts: DataFrame, net: Network, rate: float, seed: int) -> np.ndarray:
-    """Train on all ``texts``, each partition by itself from ``net``, which then takes the averaged weights. Returns how
+def one_round(texts: DataFrame, net: Network, rate: float, seed: int) -> np.ndarray:
+    """Train on ``texts``, each partition by itself from ``net``, which then takes the averaged weights. Returns how
     often each id was seen."""
     kept = texts.sparkSession.sparkContext.broadcast((net.p, net.n_words))
 
@@ -361,9 +389,18 @@ def one_pass(texts: DataFrame, net: Network, rate: float, seed: int) -> np.ndarr
 
     def added(t: pa.Table) -> pa.Table:
         total = sum(np.frombuffer(x.as_py(), "<f8") for x in t.column("sums"))
-        return pa.table({"sums": pa.array([total.tobytes()], pa.binary())})
+        return pa.table({"slot": pa.array([t.column("slot")[0].as_py() // FAN]), "sums": pa.array([total.tobytes()], pa.binary())})
 
-    got = texts.mapInArrow(work, "slot long, sums binary").groupBy("slot").applyInArrow(added, "sums binary").collect()
+    parts = texts.select("ids").mapInArrow(work, "slot long, sums binary")
+    width = -(-texts.rdd.getNumPartitions() // FAN)
+    while True:  # at most FAN rows reach the driver, however many partitions trained
+        parts = parts.groupBy("slot").applyInArrow(added, "slot long, sums binary")
+        if width <= FAN:
+            break
+        width = -(-width // FAN)
+    got = parts.collect()
+    if not got:
+        return np.zeros(WORDS + 1)
     total = sum(np.frombuffer(r["sums"], "<f8") for r in got)
     count, at = total[-WORDS - 1 :], 0
     by = weights(net, count)
@@ -376,15 +413,16 @@ def one_pass(texts: DataFrame, net: Network, rate: float, seed: int) -> np.ndarr
 
 
 def train_network(train: DataFrame, own: np.ndarray, seen: np.ndarray, rate: float = 0.02, seed: int = 5) -> Network:
-    """The network after ``PASSES`` passes over every row of ``train``."""
+    """The network after every row of ``train`` was learned from once."""
     net = start(seen, len(own) + 1, seed)
     if seen.sum():
-        texts = staged(word_ids(train, own), "ids")
-        for pass_ in range(PASSES):
-            one_pass(texts, net, rate * 0.5**pass_, seed + pass_)
+        texts = staged(word_ids(train, own), "ids", "round")
+        for k in range(ROUNDS):
+            one_round(texts.where(F.col("round") == k), net, rate * 0.5**k, seed + k)
     return net
 
 
+TAIL = pa.list_(pa.struct([("h", pa.int64()), ("k", pa.int32())]))
 SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, model double, n_rest long, rest_log double, tail array<struct<h:long,k:int>>"
 
 
@@ -401,7 +439,7 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
             m = b.num_rows
             ids_all, sizes = [], []
             cols = {c: np.zeros(m) for c in ("n", "known", "base", "n_rest", "rest")}
-            tails: list = []
+            tail_h, tail_k, tail_n = [], [], []
             for slab in slabs(b.column(2)):
                 h, owner = words(slab)
                 n = len(slab)
@@ -421,16 +459,23 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
                 cols["base"][here] = per_text(logc, owner, n) + end_log
                 cols["n_rest"][here] = per_text(rest.astype(np.int64), owner, n)
                 cols["rest"][here] = per_text(np.where(rest, logc, 0.0), owner, n)
-                far = ~found
+                far = np.flatnonzero(~found)
                 h, owner = h[far], owner[far]
-                cut = np.searchsorted(owner, np.arange(n + 1))
-                for i in range(n):
-                    x, k = np.unique(h[cut[i] : cut[i + 1]], return_counts=True)
-                    tails.append([{"h": int(a), "k": int(c)} for a, c in zip(x, k, strict=True)])
+                order_ = np.lexsort((h, owner))
+                h, owner = h[order_], owner[order_]
+                first = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])][: len(h)])
+                tail_h.append(h[first])
+                tail_k.append(np.diff(np.r_[first, len(h)]).astype(np.int32))
+                tail_n.append(np.bincount(owner[first], minlength=n))
             model_log = model.score(np.concatenate(ids_all), spans(np.concatenate(sizes))) / np.log(10) if m else np.zeros(0)
             whole = lambda c: pa.array(cols[c].astype(np.int64))
+            if m:
+                items = pa.StructArray.from_arrays([pa.array(np.concatenate(tail_h)), pa.array(np.concatenate(tail_k))], ["h", "k"])
+                tails = pa.ListArray.from_arrays(pa.array(spans(np.concatenate(tail_n)).astype(np.int32)), items)
+            else:
+                tails = pa.array([], TAIL)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(row + np.arange(m)), b.column(0), b.column(1), whole("n"), whole("known"), pa.array(cols["base"]), pa.array(model_log), whole("n_rest"), pa.array(cols["rest"]), pa.array(tails, pa.list_(pa.struct([("h", pa.int64()), ("k", pa.int32())])))],
+                [pa.array(row + np.arange(m)), b.column(0), b.column(1), whole("n"), whole("known"), pa.array(cols["base"]), pa.array(model_log), whole("n_rest"), pa.array(cols["rest"]), tails],
                 ["row", "doc_id", "held_out", "n_tokens", "n_known", "base", "model", "n_rest", "rest_log", "tail"],
             )
             row += m
