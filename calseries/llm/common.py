@@ -38,6 +38,17 @@ def remainder(doc_id: str | Column, modulus: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(col.cast("string"), F.lit("")).cast("binary")), F.lit(modulus))
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """These names, with underscores before them until ``df`` has no such column."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or in a test session a temporary one."""
     named = spark.conf.get("spark.checkpoint.dir", None)

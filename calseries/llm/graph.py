@@ -15,7 +15,7 @@ def _state(edges: DataFrame) -> tuple:
     return tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
 
 
-def _least(rows: DataFrame, key: str, all_values: DataFrame, count: int) -> DataFrame:
+def least(rows: DataFrame, key: str, all_values: DataFrame, count: int) -> DataFrame:
     """``rows`` with m, the least v that ``all_values`` (u, v) has for their key; ``count``: its rows, at least.
 
     Minima are combined before they are shuffled. A key with more than one in ``HOT`` of the values is hot; there are
@@ -40,8 +40,8 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", most: int = 60) ->
         return e.select(F.col("hi").alias("node"), F.col("lo").alias("root"))
     for _ in range(most):
         both = e.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionAll(e.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
-        large = staged(_least(e, "lo", both, 2 * before[0]).select("hi", F.least("lo", "m").alias("lo")).distinct(), "edges")
-        small = _least(large, "hi", large.select(F.col("hi").alias("u"), F.col("lo").alias("v")), before[0])
+        large = staged(least(e, "lo", both, 2 * before[0]).select("hi", F.least("lo", "m").alias("lo")).distinct(), "edges")
+        small = least(large, "hi", large.select(F.col("hi").alias("u"), F.col("lo").alias("v")), before[0])
         pairs = F.array(F.struct(F.col("hi").alias("hi"), F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))
         e = staged(small.select(F.inline(pairs)).where(F.col("hi") != F.col("lo")).distinct(), "edges")
         after = _state(e)

@@ -8,12 +8,13 @@ boundary is where the estimated cost of both is least, from the counts of sets b
 Neither side emits all pairs of a list or of equal subsets. Lists are chained in order of size, which connects every
 pair that could link; the components of the chains are clusters, and the exact intersections inside a cluster are
 counted block by block in one matrix product per pair of blocks. Only a spanning forest of the links leaves a block.
-Rows with the same set are one class, represented by its smallest id, all through. How rare a shingle is comes from a
-count sketch over all texts; any order of shingles gives the same links, a good one gives short lists.
+Rows with the same set are one class, known by the set's own 64-bit fingerprint all through, so that ids may repeat.
+How rare a shingle is comes from a count sketch over all texts; any order of shingles gives the same links, a good one
+gives short lists. Classes and components of very many rows are joined by broadcast, which their share bounds.
 
 Defined cases: null and empty texts have empty sets and link with nothing; a row with a null id keeps its n_shingles,
 has itself no part in links, and its component_id is that of its equals, or null; rows that repeat an id and text are one
-document; rows with the same id and different texts each keep their own links and share the id.
+document; rows with the same id and different texts are documents of their own, with their own links and components.
 """
 
 from __future__ import annotations
@@ -24,11 +25,11 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import staged, table, travels
-from .graph import components
+from .common import WORD, fresh, staged, table, travels
+from .graph import HOT, components, least
 from .textkit import LOWER, SPACE, U, Slab, distinct_by_text, hash_runs, mix, runs, slabs, windows
 
 travels(__name__)
@@ -38,8 +39,8 @@ PERCENT = 85
 #: Slots of the count sketch, and how many of them travel in one row.
 SKETCH = 1 << 22
 SKETCH_ROW = 1 << 16
-#: Largest light set that is considered.
-MOST_LIGHT = 20
+#: Largest boundary whose cost is worked out: a set of that size has 36,000 subsets, so that lists are far cheaper.
+MOST_LIGHT = 32
 #: What a posting in an inverted list costs against an enumerated subset: it may bring the text to a cluster.
 POSTING_COST = 12
 #: Shingles in a block, where each set counts ``BLOCK_SET`` more.
@@ -100,14 +101,19 @@ def choose_boundary(count_by_size: dict[int, int], percent: int = PERCENT) -> in
     return min(range(1, MOST_LIGHT + 1), key=lambda x: (cost(x), x))
 
 
+def text_hash(text: str = "text") -> Column:
+    return F.xxhash64(F.col(text).cast("string"))
+
+
 def fingerprints(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
-    """One row per document (doc_id, n, f1, f2), and each task's part of the count sketch (block, counts)."""
+    """One row per document (doc_id, n, f1, f2, and th, a hash of its text), and each task's part of the count sketch
+    (block, counts)."""
 
     def work(batches):
         counts = np.zeros(SKETCH, np.int32)
-        names = ["doc_id", "n", "f1", "f2", "block", "counts"]
+        names = ["doc_id", "th", "n", "f1", "f2", "block", "counts"]
         for b in batches:
-            for slab in slabs(b.column(1)):
+            for slab in slabs(b.column(2)):
                 h, owner = sets(slab, k)
                 m = len(slab)
                 cut = np.searchsorted(owner, np.arange(m + 1))
@@ -118,15 +124,15 @@ def fingerprints(docs: DataFrame, k: int = SHINGLE) -> DataFrame:
                 f1, f2 = (c[cut[1:]] - c[cut[:-1]] for c in (c1, c2))
                 slots, times = np.unique((h & U(SKETCH - 1)).astype(np.int64), return_counts=True)
                 counts[slots] += times
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(slab.lo, m), pa.array(n.astype(np.int32)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names)
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(slab.lo, m), b.column(1).slice(slab.lo, m), pa.array(n.astype(np.int32)), pa.array(f1.view(np.int64)), pa.array(f2.view(np.int64)), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names)
         for block in range(SKETCH // SKETCH_ROW):
             part = counts[block * SKETCH_ROW : (block + 1) * SKETCH_ROW]
             if part.any():
                 packed = zlib.compress(part.astype("<i4").view(np.uint8).reshape(-1, 4).T.tobytes(), 1)
-                yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int32()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([block], pa.int32()), pa.array([packed], pa.binary())], names)
+                yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int32()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.array([block], pa.int32()), pa.array([packed], pa.binary())], names)
 
-    schema = "doc_id long, n int, f1 long, f2 long, block int, counts binary"
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(work, schema)
+    schema = "doc_id long, th long, n int, f1 long, f2 long, block int, counts binary"
+    return docs.select(F.col("doc_id").cast("long"), text_hash().alias("th"), F.col("text").cast("string")).mapInArrow(work, schema)
 
 
 def rarity(prints: DataFrame) -> np.ndarray:
@@ -285,19 +291,24 @@ def only_members(docs: DataFrame, members: DataFrame) -> DataFrame:
     kept = docs.sparkSession.sparkContext.broadcast(bits)
 
     def sieve(batches):
-        there = np.unpackbits(kept.value).view(bool)
+        there, seen = np.unpackbits(kept.value).view(bool), set()
         for b in batches:
             b = b.filter(b.column(0).is_valid())
-            yield b.filter(pa.array(there[_bits(b.column(0).to_numpy())].all(1)))
+            b = b.filter(pa.array(there[_bits(b.column(0).to_numpy())].all(1)))
+            new = []  # rows that repeat an id and text travel once a task
+            for row in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True):
+                new.append(row not in seen)
+                seen.add(row)
+            yield b.filter(pa.array(new, pa.bool_())).select(["doc_id", "text"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(sieve, "doc_id long, text string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), text_hash().alias("th")).mapInArrow(sieve, "doc_id long, text string")
 
 
 def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """Edges (a, b) between class representatives that connect what the links inside each cluster connect.
+    """Edges (a, b) between the fingerprints of classes that connect what the links inside each cluster connect.
 
-    ``members``: rep, f1, n, cluster."""
-    w = Window.partitionBy("cluster").orderBy("n", "rep").rowsBetween(Window.unboundedPreceding, 0)
+    ``members``: f1, rep (an id whose text has that set), n, cluster."""
+    w = Window.partitionBy("cluster").orderBy("n", "f1").rowsBetween(Window.unboundedPreceding, 0)
     placed = members.withColumn("blk", F.floor(F.sum(F.col("n") + BLOCK_SET).over(w) / BLOCK).cast("int"))
     blocks = placed.groupBy("cluster", "blk").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
     x, y = blocks.alias("x"), blocks.alias("y")
@@ -308,27 +319,27 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
     placed = placed.join(roles, ["cluster", "blk"]).select("rep", "f1", "cluster", "blk", "where")
 
     texts = only_members(docs, members).select(F.col("doc_id").alias("rep"), "text")
-    spread = texts.join(placed, "rep").select("rep", "f1", "cluster", "blk", F.inline("where"), "text")
-    spread = spread.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "rep")
+    spread = texts.join(placed, "rep").select("f1", "cluster", "blk", F.inline("where"), "text")
+    spread = spread.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "f1")
 
-    def settle(key, reps, blks, hs):
-        reps, where = np.unique(np.array(reps, np.int64), return_index=True)
-        if len(reps) < 2:
+    def settle(key, f1s, blks, hs):
+        f1s, where = np.unique(np.array(f1s, np.int64), return_index=True)
+        if len(f1s) < 2:
             return []
         values = [hs[t] for t in where.tolist()]
         side = (np.array(blks)[where] != key[1]).astype(int)
-        return [(int(reps[a]), int(reps[b])) for a, b in forest(len(reps), *links(values, side, percent))]
+        return [(int(f1s[a]), int(f1s[b])) for a, b in forest(len(f1s), *links(values, side, percent))]
 
     def work(batches):
-        key, reps, blks, hs = None, [], [], []
+        key, f1s, blks, hs = None, [], [], []
 
         def edges(out):
             return pa.RecordBatch.from_arrays([pa.array([e[k] for e in out], pa.int64()) for k in (0, 1)], ["a", "b"])
 
         for b in batches:
             out = []
-            rep, f1, cluster, blk, i, j = (b.column(c).to_pylist() for c in range(6))
-            for slab in slabs(b.column(6)):
+            f1, cluster, blk, i, j = (b.column(c).to_pylist() for c in range(5))
+            for slab in slabs(b.column(5)):
                 h, owner = sets(slab, k)
                 cut = np.searchsorted(owner, np.arange(len(slab) + 1))
                 c1 = np.zeros(len(h) + 1, U)
@@ -337,41 +348,67 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
                 for n in range(len(slab)):
                     r = slab.lo + n
                     if (cluster[r], i[r], j[r]) != key:
-                        if len(reps) > 1:
-                            out += settle(key, reps, blks, hs)
-                        key, reps, blks, hs = (cluster[r], i[r], j[r]), [], [], []
-                    if got[n] == f1[r]:
-                        reps.append(rep[r])
+                        if len(f1s) > 1:
+                            out += settle(key, f1s, blks, hs)
+                        key, f1s, blks, hs = (cluster[r], i[r], j[r]), [], [], []
+                    if got[n] == f1[r] and (not f1s or f1s[-1] != f1[r]):  # another text of the same id has another set
+                        f1s.append(f1[r])
                         blks.append(blk[r])
                         hs.append(h[cut[n] : cut[n + 1]].copy())
             yield edges(out)
-        yield edges(settle(key, reps, blks, hs) if len(reps) > 1 else [])
+        yield edges(settle(key, f1s, blks, hs) if len(f1s) > 1 else [])
 
-    return spread.select("rep", "f1", "cluster", "blk", "i", "j", "text").mapInArrow(work, "a long, b long")
+    return spread.select("f1", "cluster", "blk", "i", "j", "text").mapInArrow(work, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles, component_id for every row of ``docs`` (doc_id, text)."""
+def with_roots(edges: DataFrame) -> DataFrame:
+    """(node, root) of the components, the roots themselves included."""
+    found = components(edges)
+    return found.unionAll(found.select(F.col("root").alias("node"), "root").distinct())
+
+
+def classes_of(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
+    """The rows (doc_id, th, n, f1, f2), and their classes: f1, f2, n, times and ``first``, the (doc_id, th) that is least
+    in the whole component. Classes whose rows have null ids only have no ``first``."""
     prints = staged(fingerprints(docs, k), "prints")
-    rows = prints.where(F.col("block").isNull()).select("doc_id", "n", "f1", "f2")
-    by_size = {r["n"]: r["count"] for r in rows.where(F.col("n").between(1, 3 * MOST_LIGHT)).groupBy("n").count().collect()}
+    rows = prints.where(F.col("block").isNull()).select("doc_id", "th", "n", "f1", "f2")
+    by_size = {r["n"]: r["count"] for r in rows.where(F.col("n").between(1, 2 * MOST_LIGHT)).groupBy("n").count().collect()}
     boundary = choose_boundary(by_size, percent)
-    clusters = components(chains(postings(docs, rarity(prints), boundary, k, percent), percent))
-    clusters = clusters.unionAll(clusters.select(F.col("root").alias("node"), "root").distinct())
-    classes = rows.where("n > 0").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"))
-    members = classes.join(clusters, F.col("f1") == F.col("node")).where(F.col("rep").isNotNull()).select("rep", "f1", "n", F.col("root").alias("cluster"))
-    members = staged(members, "members")
-    found = components(verified(docs, members, k, percent))
-    named = classes.join(found, F.col("rep") == F.col("node"), "left").select("f1", "f2", "n", F.coalesce("root", "rep").alias("component_id"))
-    out = rows.join(named, ["f1", "f2", "n"], "left")
+    clusters = with_roots(chains(postings(docs, rarity(prints), boundary, k, percent), percent))
+    own = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "th"))).alias("own")
+    classes = staged(rows.where("n > 0").groupBy("f1", "f2", "n").agg(own, F.count(F.lit(1)).alias("times")), "classes")
+    members = classes.where(F.col("own").isNotNull()).join(clusters, F.col("f1") == F.col("node"))
+    members = staged(members.select(F.col("own.doc_id").alias("rep"), "f1", "n", F.col("root").alias("cluster")), "members")
+    linked = staged(classes.join(with_roots(verified(docs, members, k, percent)), F.col("f1") == F.col("node")).drop("node"), "linked")
+    firsts = least(linked, "root", linked.select(F.col("root").alias("u"), F.col("own").alias("v")), linked.count())
+    named = classes.join(firsts.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("gn"), "m"), (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("gn")), "left")
+    return rows, named.select("f1", "f2", "n", "times", F.coalesce("m", "own").alias("first"))
+
+
+def near_duplicates(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles, component_id for every row of ``docs`` (doc_id, text)."""
+    rows, classes = classes_of(docs, k, percent)
+    # a class of more than one in HOT of all rows is told by broadcast: there are fewer than HOT of them
+    key, share = ["f1", "f2", "n"], F.col("times") * HOT
+    total = rows.count()
+    named = staged(classes.select(*key, "times", F.col("first.doc_id").alias("component_id")), "named")
+    hot = named.where(share > total).select(*key, "component_id", F.lit(True).alias("hot"))
+    told = rows.join(F.broadcast(hot), key, "left")
+    cold = told.where(F.col("hot").isNull()).drop("component_id").join(named.where(share <= total).select(*key, "component_id"), key, "left")
+    out = told.where(F.col("hot")).unionByName(cold.select(*told.columns))
     return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def keep_one(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
-    """The rows of ``docs`` whose id names their component, one row for each such id; rows with a null id stay."""
-    firsts = near_duplicates(docs, k, percent).where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_first")).distinct()
-    named = docs.join(firsts, F.col("doc_id") == F.col("_first"), "left_semi").dropDuplicates(["doc_id"])
-    return named.unionAll(docs.where(F.col("doc_id").isNull()))
+    """The rows of ``docs`` whose (id, text) is the least of their component, each once; rows with a null id or without a
+    word, which link with nothing, stay as they are."""
+    _, classes = classes_of(docs, k, percent)
+    id_, th = fresh(docs, "kept_id", "kept_text")
+    firsts = classes.where(F.col("first").isNotNull()).select(F.col("first.doc_id").alias(id_), F.col("first.th").alias(th)).distinct()
+    apart = F.col("doc_id").isNull() | ~F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False))
+    # equal rows become one before they travel
+    once = docs.where(~apart).withColumn(id_, F.col("doc_id").cast("long")).withColumn(th, text_hash()).dropDuplicates([id_, th])
+    return once.join(firsts, [id_, th], "left_semi").select(*docs.columns).unionAll(docs.where(apart))
 
 
 def op7_heavy_light_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, staged, table
+from .common import WORD, fresh, staged, table
 
 WEIGHTS = (5, 2, 1)
 SHARE = 1.5
@@ -88,17 +88,27 @@ def draw(docs: DataFrame, seed: str = "mix", cut: str = "word", weights=WEIGHTS,
 def mix(docs: DataFrame, seed: str = "mix", **how) -> DataFrame:
     """The rows of ``docs`` as often as the mix takes them, whole, with all their columns.
 
-    Only the last row that each source takes once more is looked up; every row then decides for itself."""
+    Only the last row that each source takes once more is looked up; every row then decides for itself. Rows that share
+    the last one's place (they repeat its id and size) are told apart by their number, in the order of their texts."""
     drawn = draw(docs, seed, cut="document", **how)
+    more = F.col("taken") > F.col("epochs") * F.col("size")
     place = F.struct("key", "doc_id", "size")
-    last = drawn.groupBy(F.col("source").alias("_s")).agg(
-        F.max("epochs").alias("_epochs"), F.max(F.when(F.col("taken") > F.col("epochs") * F.col("size"), place)).alias("_last")
-    )
-    mine = F.struct(random_key(seed).alias("key"), F.col("doc_id"), word_count().alias("size"))
-    once_more = F.coalesce((mine <= F.col("_last")).cast("long"), F.lit(0))
-    times = F.when(mine["size"] > 0, F.col("_epochs") + once_more).otherwise(0)
-    rows = docs.join(last, F.col("source").eqNullSafe(F.col("_s"))).withColumn("_times", times).where("_times > 0")
-    return rows.select(*docs.columns, F.explode(F.sequence(F.lit(1), F.col("_times"))).alias("_time")).drop("_time")
+    source, epochs, last, ties, at, mine, tie, times, copy = fresh(docs, "mix_source", "mix_epochs", "mix_last", "mix_ties", "mix_key", "mix_place", "mix_tie", "mix_times", "mix_copy")
+    ends = drawn.groupBy("source").agg(F.max("epochs").alias(epochs), F.max(F.when(more, place)).alias(last))
+    same = drawn.where(more).join(F.broadcast(ends.select(F.col("source").alias("s"), last)), F.col("source").eqNullSafe(F.col("s")) & (place == F.col(last)))
+    passed = same.groupBy(F.col("source").alias("s")).agg(F.count(F.lit(1)).alias(ties))
+    ends = ends.join(passed, F.col("source").eqNullSafe(F.col("s")), "left").select(F.col("source").alias(source), epochs, last, ties)
+
+    rows = docs.withColumn(at, random_key(seed)).withColumn(mine, F.struct(F.col(at).alias("key"), F.col("doc_id"), word_count().alias("size")))
+    rows = rows.join(F.broadcast(ends), F.col("source").eqNullSafe(F.col(source)))  # one row a source
+    tied = F.col(mine) == F.col(last)
+    order = Window.partitionBy(source).orderBy(F.xxhash64(F.col("text").cast("string")))
+    before = rows.where(~F.coalesce(tied, F.lit(False))).withColumn(tie, F.lit(0))
+    level = rows.where(tied).withColumn(tie, F.row_number().over(order))
+    rows = before.unionByName(level)
+    once_more = F.coalesce(((F.col(mine) < F.col(last)) | (tied & (F.col(tie) <= F.col(ties)))).cast("long"), F.lit(0))
+    rows = rows.withColumn(times, F.when(F.col(mine)["size"] > 0, F.col(epochs) + once_more).otherwise(0)).where(F.col(times) > 0)
+    return rows.select(*docs.columns, F.explode(F.sequence(F.lit(1), F.col(times).cast("int"))).alias(copy)).drop(copy)
 
 
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

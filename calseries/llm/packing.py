@@ -27,8 +27,9 @@ travels(__name__)
 
 END_ID = 2
 SIZE = 1024
-#: Ranks within a length are counted in this many parts, so that a length with a third of all pieces is spread.
-PARTS = 256
+#: Ranks within a length are counted in parts, so that a length with a third of all pieces is spread: at least so many
+#: parts, and as many that each holds about PART_ROWS pieces at most.
+PARTS, PART_ROWS = 256, 1_000_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -46,8 +47,8 @@ class Encoder:
     """Ids of whole texts by a byte-level BPE file of the ``tokenizers`` library.
 
     Its merges never cross the borders of pre-tokens, so ids are looked up by pre-token: a vectorised pass cuts the
-    texts, and the library's model encodes each distinct pre-token once. Texts with a character outside ``PLAIN`` go through
-    the library as they are."""
+    texts, and the library's model encodes each distinct pre-token once. Texts with a character of no known kind go
+    through the library as they are."""
 
     SLOTS = 1 << 19
     MOST = 400_000
@@ -350,6 +351,7 @@ def place(pieces: DataFrame, size: int = SIZE, depth: int = 3, parts: int = PART
         hist[r["length"]] = r["count"]
     look = slots(plan_sequences(hist, depth), size)
     heads = np.searchsorted(look["length"], np.arange(size + 2))
+    parts = max(parts, int(hist.max()) // PART_ROWS)
     kept = spark.sparkContext.broadcast((look, heads))
 
     keyed = pieces.withColumn("_part", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(parts)).cast("int"))

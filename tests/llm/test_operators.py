@@ -13,7 +13,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from calseries.llm import chat, gru_lm, jaccard_join, jpeg, language, line_rules, mixing, packing, quality, toxicity
+from calseries.llm import chat, common, gru_lm, jaccard_join, jpeg, language, line_rules, mixing, packing, quality, textkit, toxicity
 from calseries.llm.graph import components
 from calseries.llm.queries import ORACLES, QUERIES
 
@@ -45,6 +45,55 @@ def test_equals_oracle(spark, duck, name):
     assert sorted(got.columns) == sorted(want.columns) and canon(got) == canon(want)
 
 
+def doubling(letters, turns=12):
+    """A text of two letters in which each half mirrors the other, the worst case for polynomial hashes."""
+    x = letters[0]
+    for _ in range(turns):
+        x += x.translate(str.maketrans(letters, letters[::-1]))
+    return x
+
+
+PAIR = doubling("ab"), doubling("ba")
+
+
+def test_runs_of_mirrored_texts_differ(spark):
+    one, two = PAIR
+    raw = np.frombuffer((one + two + one).encode(), np.uint8)
+    for values in (raw, raw.astype(np.uint32)):
+        n = len(one)
+        h = textkit.hash_runs(values, np.array([0, n, 2 * n]), np.array([n, 2 * n, 3 * n]))
+        assert h[0] == h[2] != h[1]
+    d = docs(spark, [one, two, f"{one}\n{two}\nx"])
+    assert [r["component_id"] for r in jaccard_join.near_duplicates(d).orderBy("doc_id").collect()] == [0, 1, 2]
+    assert [r["n_dup_lines"] for r in line_rules.judge(d, *line_rules.train(d, d.selectExpr("doc_id", "1 AS quality"))).orderBy("doc_id").collect()] == [0, 0, 0]
+    path = packing.default_tokenizer()
+    enc = packing.Encoder(path)
+    assert [x.tolist() for x in enc.texts(pa.array([one, two]))] == [enc.plain(one).tolist(), enc.plain(two).tolist()]
+    assert sorted(r["c"] for r in gru_lm.count_words(d).collect()) == [1, 2, 2]
+
+
+def test_runs_hash_by_content():
+    rng = np.random.default_rng(5)
+    buf = rng.integers(97, 100, 4000).astype(np.uint8)
+    starts = rng.integers(0, 3900, 3000)
+    ends = starts + rng.integers(0, 40, 3000)
+    h = textkit.hash_runs(buf, starts, ends)
+    found = {}
+    for a, b, x in zip(starts, ends, h.tolist()):
+        assert found.setdefault(buf[a:b].tobytes(), x) == x
+    assert len(set(found.values())) == len(found)
+
+
+def test_shares_of_huge_tables(spark):
+    """A share of 8,000 in 10 ** 11 rows is not nothing: about as many hashes lie below its threshold as it says."""
+    cond = str(common.in_share(F.col("h"), 8000, 10**11)._jc)
+    threshold = int(re.search(r"-\d{15,}", cond).group())
+    assert abs((threshold + (1 << 63)) / 2**64 - 8e-8) < 1e-12
+    d = spark.range(200_000).select(F.xxhash64("id").alias("h"))
+    assert 1700 < d.where(common.in_share(F.col("h"), 2000, 200_000)).count() < 2300
+    assert d.where(common.in_share(F.col("h"), 5, 5)).count() == 200_000
+
+
 # ---- 1 chat -------------------------------------------------------------------------------------------------------------
 
 
@@ -76,6 +125,14 @@ def test_chat_layouts_by_fingerprint(spark):
         chat.turns(spark.range(1))
 
 
+def test_chat_of_odd_rows(spark):
+    """A null conversation is one of its own, equal turns keep both texts, and long and repeated rows stay whole."""
+    rows = [(None, 0, "user", "a"), (None, 1, "assistant", None), (1, 0, "user", "b"), (1, 0, "user", "b"), (2, 0, "assistant", LONG), (3, None, None, "")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = {r["conv_id"]: [(t["role"], t["text"]) for t in r["turns"]] for r in chat.parse(chat.render(chat.turns(df))).collect()}
+    assert got == {None: [("user", "a"), ("assistant", "")], 1: [("user", "b")] * 2, 2: [("assistant", LONG)], 3: [("", "")]}
+
+
 def test_chat_of_nothing(spark):
     empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
     assert chat.digest(chat.render(chat.turns(empty))).count() == 0
@@ -226,6 +283,17 @@ def test_mix_on_odd_rows(spark):
     assert mixing.draw(d.limit(0)).count() == 0 and mixing.mix(d).columns == d.columns
 
 
+def test_mix_of_repeated_rows_and_clashing_names(spark):
+    d = spark.range(1000).selectExpr("7L AS doc_id", "'a b c d' AS text", "CAST(NULL AS STRING) AS source", "1 AS mix_times", "2 AS mix_last", "3 AS mix_copy")
+    d = d.unionByName(spark.range(50).selectExpr("id AS doc_id", "'e f g' AS text", "'t' AS source", "1 AS mix_times", "2 AS mix_last", "3 AS mix_copy"))
+    goal = {r["source"]: r["target"] for r in mixing.draw(d).select("source", "target").distinct().collect()}
+    got = mixing.mix(d)
+    assert got.columns == d.columns
+    for source, size in ((None, 4), ("t", 3)):
+        taken = got.where(F.col("source").eqNullSafe(F.lit(source))).count() * size
+        assert abs(taken - goal[source]) <= size
+
+
 # ---- 5 line rules -----------------------------------------------------------------------------------------------------------
 
 
@@ -268,6 +336,39 @@ def test_viterbi_is_the_best_path():
             assert abs(worth(path) - max(worth(p) for p in itertools.product((0, 1), repeat=len(e)))) < 1e-9
 
 
+def test_field_is_at_the_top_of_its_likelihood():
+    """The fitted weights against the likelihood summed over all labellings: no single change of a weight raises it."""
+    rng = np.random.default_rng(7)
+    text = np.repeat(np.arange(12), rng.integers(1, 6, 12))
+    x = (rng.random((len(text), 4)) < 0.5).astype(float)
+    y = ((x[:, 0] + 0.7 * rng.normal(size=len(text))) > 0.5).astype(np.int64)
+    decay = 1e-2
+
+    def objective(w, stick):
+        total = 0.0
+        for t in np.unique(text):
+            e, mine = x[text == t] @ w, y[text == t]
+
+            def path(labels):
+                return sum(e[i] * v for i, v in enumerate(labels)) + sum(stick[a, b] for a, b in itertools.pairwise(labels))
+
+            total += path(mine) - np.logaddexp.reduce([path(p) for p in itertools.product((0, 1), repeat=len(mine))])
+        return total / len(text) - decay / 2 * (np.sum(w**2) + np.sum(stick**2))
+
+    w, stick = line_rules.fit(x, y, text, rounds=3000, rate=0.02, decay=decay)
+    top = objective(w, stick)
+    for i in range(4):
+        for step in (-0.05, 0.05):
+            moved = w.copy()
+            moved[i] += step
+            assert objective(moved, stick) < top
+    for i, j in itertools.product((0, 1), repeat=2):
+        for step in (-0.05, 0.05):
+            moved = stick.copy()
+            moved[i, j] += step
+            assert objective(w, moved) < top
+
+
 def test_field_gradient_reaches_the_likelihood():
     rng = np.random.default_rng(1)
     x = np.c_[np.ones(400), rng.random(400) < 0.5].astype(float)
@@ -476,6 +577,30 @@ def test_jaccard_blocks(spark, monkeypatch):
     assert jaccard_join.near_duplicates(d.limit(0)).count() == 0
 
 
+def test_jaccard_repeated_ids(spark):
+    """Different texts under one id are documents of their own, in whatever order they come."""
+    base = " ".join(f"a{i}" for i in range(40))
+    alike = base.replace("a39", "z")
+    rows = [(5, "quite another text with words of its own here"), (5, base), (9, alike)]
+    for order in ((0, 1, 2), (1, 0, 2), (2, 1, 0)):
+        d = spark.createDataFrame([rows[i] for i in order], "doc_id long, text string")
+        got = {(r["doc_id"], r["n_shingles"]): r["component_id"] for r in jaccard_join.near_duplicates(d).collect()}
+        assert got == {(5, 6): 5, (5, 37): 5, (9, 37): 5}
+        kept = sorted((r["doc_id"], r["text"]) for r in jaccard_join.keep_one(d.unionAll(d)).collect())
+        assert kept == sorted(rows[:2])
+
+
+def test_jaccard_hot_class(spark, monkeypatch):
+    """A class of a third of all rows is told its component by broadcast."""
+    from calseries.llm import graph
+
+    monkeypatch.setattr(graph, "HOT", 5)
+    monkeypatch.setattr(jaccard_join, "HOT", 5)
+    texts = ["the same words in the same order again"] * 30 + [f"w{i} x{i} y{i} z{i} q{i}" for i in range(40)]
+    want = brute_components(dict(enumerate(texts)))
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.near_duplicates(docs(spark, texts)).collect()} == want
+
+
 def test_keep_one_keeps_columns(spark):
     d = docs(spark, ["a b c d e f g h", "a b c d e f g h", "other words stand in this one", None])
     got = jaccard_join.keep_one(d)
@@ -506,12 +631,23 @@ def test_language_on_rows_left_out(spark):
     assert (got.lang_pred == got.lang).mean() > 0.97 and got.score.between(0, 1).all()
 
 
+def test_language_of_long_repeated_and_no_rows(spark):
+    names, logp = language.learn(docs(spark, ["the and with that"] * 3, "en").unionAll(docs(spark, ["und der die das"], "de")))
+    d = docs(spark, ["the with " * 20000, "und das", "und das"])
+    assert [r["lang_pred"] for r in language.identify(d, names, logp).orderBy("doc_id").collect()] == ["en", "de", "de"]
+    assert language.identify(d.limit(0), names, logp).count() == 0
+    few = docs(spark, ["the and with that"] * 400, "en").unionAll(docs(spark, ["und der die das"], "de"))
+    assert language.learn(few)[0] == ["de", "en"]
+
+
 def test_language_mixture_and_odd_rows(spark):
     train = docs(spark, ["the and with that this have from they will would there their"] * 9, "en").unionAll(docs(spark, ["und der die das nicht eine auch sich auf mit werden durch"] * 9, "de"))
     names, logp = language.learn(train)
     assert names == ["de", "en"]
     mixed = "the and with that this have from they will would there their " * 6 + "und der die das nicht eine auch sich auf mit werden durch " * 4
     got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language.identify(docs(spark, [mixed, "und das auch", None, "", "123 !!", "日本", "½"]), names, logp).collect()}
+    sets = {r["doc_id"]: [x["lang"] for x in r["languages"]] for r in language.identify(docs(spark, [mixed, "und das auch", None]), names, logp).collect()}
+    assert sets == {0: ["en", "de"], 1: ["de"], 2: []}
     assert got[0][0] == "en" and 0.5 < got[0][1] < 0.75 and got[1][0] == "de"
     assert [got[i] for i in (2, 3, 4, 6)] == [("und", 0.0)] * 4 and got[5][0] in names
     none, table_ = language.learn(train.limit(0))
@@ -523,7 +659,7 @@ def test_language_mixture_and_odd_rows(spark):
 
 def test_language_model_counts(spark, given, monkeypatch):
     monkeypatch.setattr(gru_lm, "HEAD", 3000)  # so that most words go through the join
-    d = given[0].select("doc_id", "text").unionByName(docs(spark, ODD[:4] + ODD[5:]).select((F.col("doc_id") + 100000).alias("doc_id"), "text"))
+    d = given[0].select("doc_id", "text").unionByName(docs(spark, [*ODD, ODD[4]]).select((F.col("doc_id") + 100000).alias("doc_id"), "text"))
     texts = {r["doc_id"]: WORD.findall((r["text"] or "").translate(LOW)) + [None] for r in d.collect()}
     c = collections.Counter(w for i, t in texts.items() if zlib.crc32(str(i).encode()) % 10 for w in t)
     n, v = sum(c.values()), len(c)
@@ -593,16 +729,18 @@ def test_score_carries_the_state():
 def test_network_sees_every_training_text(spark, monkeypatch):
     """All texts count, also beyond the 2,500 that were once the bound, and a word that a single partition has moves."""
     seen = []
-    kept = gru_lm.one_pass
-    monkeypatch.setattr(gru_lm, "one_pass", lambda *a: seen.append(kept(*a)))
+    kept = gru_lm.one_round
+    monkeypatch.setattr(gru_lm, "one_round", lambda *a: seen.append(kept(*a)) or seen[-1])
     monkeypatch.setattr(gru_lm, "CHUNK", 5000)
+    monkeypatch.setattr(gru_lm, "FAN", 2)  # several levels of sums
     d = spark.range(6000).repartition(5).selectExpr("id AS doc_id", "concat('the cat ', id % 7, CASE WHEN id = 4321 THEN repeat(' rare bird', 40) ELSE '' END) AS text")
     _, totals, own, count, _, _ = gru_lm.corpus(d)
     net = gru_lm.train_network(d, own, count)
-    assert len(seen) == gru_lm.PASSES and all((c == count).all() for c in seen) and count.sum() == totals.n == 24080
+    assert len(seen) == gru_lm.ROUNDS and (sum(seen) == count).all() and count.sum() == totals.n == 24080
     fresh = gru_lm.start(count, len(own) + 1)
     rare = [i + 1 for i in range(len(own)) if count[i + 1] == 40]
     assert len(rare) == 2 and np.abs(net.p["entry"][rare] - fresh.p["entry"][rare]).max() > 0.02
+    assert not any(len(x) for x in gru_lm.language_model(d.limit(0)).collect())
     assert all(np.isfinite(v).all() and v.dtype == np.float32 for v in net.p.values())
 
 
@@ -616,12 +754,143 @@ def test_samples_keep_their_bounds(spark, monkeypatch, module, step, column, row
     assert rows in seen[0]
 
 
-def test_word_vectors_by_blocks(monkeypatch):
+def test_word_vectors_equal_loops(monkeypatch):
+    """Sums of the neighbours' index vectors, whatever the block, the vectors from them, and the pooled means."""
     rng = np.random.default_rng(1)
-    bucket, owner = rng.integers(0, 900, 5000).astype(np.uint16), np.sort(rng.integers(0, 70, 5000)).astype(np.int32)
-    whole = quality.word_vectors(bucket, owner)
-    monkeypatch.setattr(quality, "BLOCK", 37)
-    assert np.allclose(quality.word_vectors(bucket, owner), whole, atol=1e-6)
+    monkeypatch.setattr(quality, "BITS", 8)
+    bucket, owner = rng.integers(0, 256, 600), np.sort(rng.integers(0, 9, 600))
+    place, sign = quality.index_vectors()
+    dense = np.zeros((256, quality.DIM))
+    for b in range(256):
+        for p, s in zip(place[b], sign[b]):
+            dense[b, p] += s
+    want = np.zeros((256, quality.DIM))
+    for i in range(600):
+        for j in range(max(0, i - quality.NEAR), min(600, i + quality.NEAR + 1)):
+            if i != j and owner[i] == owner[j]:
+                want[bucket[i]] += dense[bucket[j]]
+    for block in (37, 1 << 18):
+        monkeypatch.setattr(quality, "BLOCK", block)
+        total = np.zeros((256, quality.DIM), np.int64)
+        quality.neighbours(bucket, owner, total)
+        assert (total == want).all()
+    seen = np.bincount(bucket, minlength=256)
+    context = want - want.sum(0) / 600 * seen[:, None]
+    norm = np.linalg.norm(context, axis=1)
+    vectors = quality.word_vectors(total, seen)
+    assert np.allclose(vectors, dense / quality.ONES**0.5 + context / np.maximum(norm, 1e-9)[:, None], atol=1e-5)
+    pooled = quality.pool(vectors, bucket, owner, 11)
+    assert all(np.allclose(pooled[t], vectors[bucket[owner == t]].mean(0), atol=1e-5) for t in range(9)) and not pooled[9:].any()
+
+
+def test_quality_network_gradient_and_temperature():
+    """A step of the network moves against the difference quotient of its loss, and the temperature is the best of its grid."""
+    rng = np.random.default_rng(2)
+    x, y = rng.normal(size=(160, 5)), (rng.random(160) < 0.5).astype(float)
+    x[:, 0] += 2 * y
+    net = quality.fit(x, y, epochs=20)
+    order = np.random.default_rng(3).permutation(160)
+    held = order[:20]
+    net30 = quality.fit(np.r_[x, x], np.r_[y, y], epochs=20)
+    order = np.random.default_rng(3).permutation(320)
+    held = order[:40]
+    logit, label = net30.logits(np.r_[x, x][held]), np.r_[y, y][held]
+    loss = lambda heat: np.logaddexp(0, np.where(label > 0, -1, 1) * logit / heat).mean()
+    assert loss(net30.heat) <= min(loss(h) for h in np.exp(np.linspace(-1.0, 2.0, 61))) + 1e-12
+    z = (x - net.mean) / net.scale
+
+    def total(w1):
+        t = np.tanh(z @ w1 + net.b1) @ net.w2 + net.b2
+        return np.logaddexp(0, np.where(y > 0, -1, 1) * t).mean()
+
+    h = np.tanh(z @ net.w1 + net.b1)
+    err = (1 / (1 + np.exp(-(h @ net.w2 + net.b2))) - y) / len(y)
+    grad = z.T @ (np.outer(err, net.w2) * (1 - h * h))
+    for i, j in ((0, 0), (3, 7), (4, 20)):
+        up, down = net.w1.copy(), net.w1.copy()
+        up[i, j] += 1e-5
+        down[i, j] -= 1e-5
+        assert abs((total(up) - total(down)) / 2e-5 - grad[i, j]) < 1e-7
+
+
+def test_quality_from_vectors_alone(spark):
+    """Held-out order of the classifier, with the signs of words as tokens and from words and marks alone."""
+    sf = "/root/testdata/sf0.1"
+    d, marks = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    y = marks.groupBy("doc_id").agg(F.max("quality").alias("y"))
+    for signs, least in ((True, 0.99), (False, 0.95)):
+        got = quality.score(d, quality.train(d, marks, signs=signs)).where("pmod(crc32(cast(cast(doc_id as string) as binary)), 4) = 2").join(y, "doc_id").toPandas()
+        rank, one = got.score.rank(), got.y == 1
+        auc = (rank[one].sum() - one.sum() * (one.sum() + 1) / 2) / (one.sum() * (~one).sum())
+        assert auc > least, (signs, auc)
+
+
+def test_machine_score_equals_the_double_sum():
+    rng = np.random.default_rng(4)
+    model = toxicity.Machine(-0.7)
+    known = rng.permutation(1 << toxicity.BITS)[:50]
+    model.index[known] = np.arange(50)
+    model.w, model.v = rng.normal(size=50), rng.normal(size=(50, toxicity.FACTORS))
+    texts = [np.sort(rng.choice(np.r_[known, rng.integers(0, 1 << toxicity.BITS, 20)], rng.integers(0, 12), replace=False)) for _ in range(30)]
+    owner = np.repeat(np.arange(30), [len(t) for t in texts])
+    got = model.raw(np.concatenate(texts).astype(np.int64), owner, 30)
+    for t, z in zip(texts, got):
+        at = [int(model.index[b]) for b in t if model.index[b] >= 0]
+        want = model.bias + sum(model.w[i] for i in at) + sum(model.v[i] @ model.v[j] for i, j in itertools.combinations(at, 2))
+        assert abs(z - want) < 1e-9
+
+
+def test_machine_without_pairs_is_worse():
+    """The pairs, not the terms alone, find most of what is held out."""
+    rng = random.Random(8)
+    groups, insults = [f"group{i}" for i in range(4)], [f"insult{i}" for i in range(4)]
+    texts, y = [], []
+    for _ in range(4000):
+        a, b = rng.random() < 0.4, rng.random() < 0.4
+        words = [f"filler{rng.randrange(200)}" for _ in range(10)] + [rng.choice(groups)] * a + [rng.choice(insults)] * b
+        rng.shuffle(words)
+        texts.append(" ".join(words))
+        y.append(int(a and b))
+    texts, y = pa.array(texts), np.array(y)
+    found = [toxicity.terms(slab) for slab in textkit.slabs(texts[:3000])]
+    sizes = np.concatenate([np.bincount(o, minlength=len(slab)) for (_, o), slab in zip(found, textkit.slabs(texts[:3000]), strict=True)])
+    model = toxicity.learn(y[:3000], np.concatenate([b for b, _ in found]), np.r_[0, np.cumsum(sizes)])
+    whole = toxicity.score_batch(texts[3000:], model) >= 0.5
+    model.v = model.v * 0
+    alone = toxicity.score_batch(texts[3000:], model) >= 0.5
+    held = y[3000:] == 1
+    assert (whole == held).mean() > 0.97 and (whole == held).mean() > (alone == held).mean() + 0.02
+
+
+def test_mixture_equals_all_subsets():
+    """Shares by expectation-maximisation against a plain loop, and the chosen set against every subset of languages."""
+    rng = np.random.default_rng(6)
+    logp = np.log(rng.dirichlet(np.full(1 << language.BITS, 0.05), 3).T + 1e-9).astype(np.float32)
+    text = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau upsilon phi chi psi omega"
+    slab = next(textkit.slabs(pa.array([text])))
+    bucket, first, _, _ = language.grams(slab)
+    words = [logp[bucket[a:b]].sum(0) for a, b in zip(first, [*first[1:], len(bucket)])]
+    units = [sum(words[i : i + language.UNIT_WORDS]) * language.WEIGHT for i in range(0, len(words), language.UNIT_WORDS)]
+    like = np.array([np.exp(u - u.max()) for u in np.array(units, float)])
+
+    def em(active, rounds):
+        pi = active / active.sum()
+        for _ in range(rounds):
+            r = like * pi
+            pi = np.array([row / row.sum() for row in r]).mean(0)
+        return pi, np.log((like * pi).sum(1)).sum()
+
+    pi, ll = language.mixture(like, np.array([0]), np.array([len(like)]), np.ones((1, 3)), 8)
+    want, want_ll = em(np.ones(3), 8)
+    assert np.allclose(pi[0], want, atol=1e-9) and abs(ll[0] - want_ll) < 1e-9
+    best, share, every = language.infer(slab, logp)
+    cost = 0.5 * np.log(max(len(like), 2))
+    value = {}
+    for subset in itertools.product((0, 1), repeat=3):
+        if any(subset):
+            value[subset] = em(np.array(subset, float), 300)[1] - cost * sum(subset)
+    chosen = tuple(int(x > 0) for x in every[0])
+    assert value[chosen] >= max(value.values()) - cost and best[0] == every[0].argmax() and abs(every[0].sum() - 1) < 1e-6
 
 
 def test_machine_learns_a_pair_of_neutral_terms():
