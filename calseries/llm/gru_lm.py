@@ -418,7 +418,7 @@ def train_network(train: DataFrame, own: np.ndarray, seen: np.ndarray, rate: flo
     if seen.sum():
         texts = staged(word_ids(train, own), "ids", "round")
         for k in range(ROUNDS):
-            one_round(texts.where(F.col("round") == k), net, rate * 0.5**k, seed + k)
+            one_round(texts.where(F.col("round") == k), net, rate * 0.7**k, seed + k)
     return net
 
 
