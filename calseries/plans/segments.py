@@ -23,7 +23,7 @@ def segment(a: SeriesFrame, length: int = 1024, left: int = 128, right: int = 12
 
 def core(a: SeriesFrame) -> SeriesFrame:
     """The rows that belong to their segment, without the segment's columns."""
-    return a.with_df(a.df.where("is_core").select("series_id", "idx", "v"))
+    return a.with_df(a.df.where("is_core").drop("seg", "seg_at", "is_core"))
 
 
 def eval_segmented(a: SeriesFrame, op: Callable[[SeriesFrame], SeriesFrame], lookback: int, lookahead: int = 0, length: int = 1024) -> SeriesFrame:
@@ -79,22 +79,35 @@ def packed_mavg(a: SeriesFrame, w: int, length: int = 1024) -> SeriesFrame:
 # ---- recursive operators: fold per segment, scan over segments, carry back -------------------------------------------
 
 
+#: Segments whose maps are composed to one before the scan over a series.
+GROUP = 256
+
+
 def xavg_recursive(a: SeriesFrame, alpha: float, length: int = 1024) -> SeriesFrame:
     """y[0] = v[0]; y[t] = alpha v[t] + (1 - alpha) y[t - 1], whatever the length of the series.
 
-    A segment turns the y before it into q^n y + b: those two numbers per segment are scanned in order, and each
-    segment starts anew from its carry. An empty entry keeps y; an unknown one makes all after it unknown."""
+    A segment turns the y before it into q^n y + b. Those two numbers per segment are composed by groups of segments,
+    scanned over groups, then inside each group; each segment starts anew from its carry. An empty entry keeps y; an
+    unknown one makes all after it unknown."""
     from pyspark.sql import Window
 
     q = 1.0 - alpha
     rows = a.df.where("v IS NOT NULL").withColumn("seg", F.floor(F.col("idx") / length))
     g = rows.groupBy("series_id", "seg").agg(F.sort_array(F.collect_list(F.struct("idx", "v"))).alias("xs"))
-    zero = F.lit(0.0)
-    part = g.select("series_id", "seg", "xs", F.aggregate("xs", zero, lambda acc, x: acc * q + x["v"] * alpha).alias("b"), F.pow(F.lit(q), F.size("xs").cast("double")).alias("m"))
-    before = Window.partitionBy("series_id").orderBy("seg").rowsBetween(Window.unboundedPreceding, -1)
-    scan = part.select("series_id", "seg", F.collect_list(F.struct("m", "b")).over(before).alias("past"), F.first("xs").over(Window.partitionBy("series_id").orderBy("seg").rowsBetween(Window.unboundedPreceding, 0))[0]["v"].alias("v0"), "xs")
+    first = rows.groupBy("series_id").agg(F.min_by("v", "idx").alias("v0"))
+    part = g.select("series_id", "seg", F.floor(F.col("seg") / GROUP).alias("grp"), F.aggregate("xs", F.lit(0.0), lambda acc, x: acc * q + x["v"] * alpha).alias("b"), F.pow(F.lit(q), F.size("xs").cast("double")).alias("m"))
+    one = F.struct(F.lit(1.0).alias("m"), F.lit(0.0).alias("b"))
+    maps = F.sort_array(F.collect_list(F.struct("seg", "m", "b")))
+    whole = part.groupBy("series_id", "grp").agg(F.aggregate(maps, one, lambda acc, p: F.struct((p["m"] * acc["m"]).alias("m"), (p["m"] * acc["b"] + p["b"]).alias("b"))).alias("all"))
+    whole = whole.select("series_id", "grp", "all.m", "all.b")
+    before = lambda *key: Window.partitionBy(*key[:-1]).orderBy(key[-1]).rowsBetween(Window.unboundedPreceding, -1)
+    go = lambda acc, p: p["m"] * acc + p["b"]
     # the very first value counts whole: y before it is v0
-    scan = scan.withColumn("y", F.aggregate("past", F.col("v0"), lambda acc, p: p["m"] * acc + p["b"]))
+    groups = whole.withColumn("past", F.collect_list(F.struct("m", "b")).over(before("series_id", "grp"))).join(first, "series_id")
+    groups = groups.select("series_id", "grp", F.aggregate("past", F.col("v0"), go).alias("y"))
+    inside = part.withColumn("past", F.collect_list(F.struct("m", "b")).over(before("series_id", "grp", "seg"))).join(groups, ["series_id", "grp"])
+    carry = inside.select("series_id", "seg", F.aggregate("past", F.col("y"), go).alias("y"))
+    scan = g.join(carry, ["series_id", "seg"])
     seed = F.struct(F.col("y").alias("y"), F.array().cast("array<double>").alias("out"))
     ys = F.aggregate("xs", seed, lambda acc, x: F.struct((acc["y"] * q + x["v"] * alpha).alias("y"), F.concat(acc["out"], F.array(acc["y"] * q + x["v"] * alpha)).alias("out")), lambda acc: acc["out"])
     out = scan.select("series_id", F.explode(F.arrays_zip("xs", ys.alias("ys"))).alias("p"))
