@@ -80,9 +80,9 @@ def assign_index(df: DataFrame, order: list[str], bucket: Column, first: int = 0
     """A dense global ``idx`` in the given order, with no task seeing all rows.
 
     ``bucket`` must not decrease along the order (a day of the leading time, say). Rows are numbered inside their
-    bucket; the counts of the buckets before are a table as long as there are buckets."""
+    bucket; the counts of the buckets before are a table as long as there are buckets. Rows without a bucket come first."""
     keyed = df.withColumn("_b", bucket)
     counts = keyed.groupBy("_b").agg(F.count(F.lit(1)).alias("_n"))
-    before = counts.select("_b", (F.sum("_n").over(Window.orderBy("_b")) - F.col("_n")).alias("_before"))
+    before = counts.select(F.col("_b").alias("_c"), (F.sum("_n").over(Window.orderBy("_b")) - F.col("_n")).alias("_before"))
     inside = F.row_number().over(Window.partitionBy("_b").orderBy(*order)).cast("long")
-    return keyed.withColumn("_r", inside).join(before, "_b").withColumn("idx", F.col("_before") + F.col("_r") - 1 + first).drop("_b", "_r", "_before")
+    return keyed.withColumn("_r", inside).join(before, F.col("_b").eqNullSafe(F.col("_c"))).withColumn("idx", F.col("_before") + F.col("_r") - 1 + first).drop("_b", "_c", "_r", "_before")

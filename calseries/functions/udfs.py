@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -16,15 +17,32 @@ def array_mavg(vals: Column, w: Column | int) -> Column:
 
 def register(spark: SparkSession) -> None:
     """SQL functions ts_mavg, ts_rsi, ts_macd on arrays, and the table functions calendar_range and segment_ids."""
-    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION ts_mavg(vals ARRAY<DOUBLE>, w INT) RETURNS ARRAY<DOUBLE>
-        RETURN transform(vals, (x, i) -> aggregate(slice(vals, greatest(1, i + 2 - w), least(w, i + 1)), 0D, (s, v) -> s + v) / least(w, i + 1))""")
-    spark.sql("""CREATE OR REPLACE TEMPORARY FUNCTION ts_macd(vals ARRAY<DOUBLE>, short INT, long INT) RETURNS ARRAY<DOUBLE>
-        RETURN zip_with(ts_mavg(vals, short), ts_mavg(vals, long), (a, b) -> a - b)""")
+    spark.udf.register("ts_mavg", mavg_arrays)
+    spark.udf.register("ts_macd", macd_arrays)
     spark.udf.register("ts_rsi", rsi_arrays)
     spark.udtf.register("calendar_range", CalendarRange)
     spark.udtf.register("segment_ids", SegmentIds)
 
 
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def mavg_arrays(vals: pd.Series, w: pd.Series) -> pd.Series:
+    """Trailing means by running sums: the work doesn't grow with w."""
+
+    def one(x, n):
+        run = np.concatenate([[0.0], np.cumsum(np.asarray(x, float))])
+        i = np.arange(1, len(run))
+        lo = np.maximum(i - n, 0)
+        return ((run[i] - run[lo]) / (i - lo)).tolist()
+
+    return pd.Series([None if x is None else one(x, int(n)) for x, n in zip(vals, w, strict=True)])
+
+
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def macd_arrays(vals: pd.Series, short: pd.Series, long: pd.Series) -> pd.Series:
+    x, y = mavg_arrays.func(vals, short), mavg_arrays.func(vals, long)
+    return pd.Series([None if a is None else (np.array(a) - np.array(b)).tolist() for a, b in zip(x, y, strict=True)])
+
+
 @F.pandas_udf(T.ArrayType(T.DoubleType()))
 def rsi_arrays(vals: pd.Series, w: pd.Series) -> pd.Series:
     def one(x, n):

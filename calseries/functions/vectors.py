@@ -50,29 +50,71 @@ def dtw_arrays(x: np.ndarray, y: np.ndarray, band: int | None = None, stop: floa
     return float(prev[m])
 
 
-def dtw(pairs: DataFrame, x: str = "x", y: str = "y", band: int | None = None) -> DataFrame:
-    """Adds ``dtw`` to rows with two arrays."""
+def dtw_batch(x: np.ndarray, y: np.ndarray, band: int | None = None, stop: float = math.inf) -> np.ndarray:
+    """The same for many pairs of rows at once: each cell of the table is worked out for all pairs."""
+    k, n, m = len(x), x.shape[1], y.shape[1]
+    band = max(band if band is not None else max(n, m), abs(n - m))
+    prev = np.full((m + 1, k), math.inf)
+    prev[0] = 0.0
+    over = np.zeros(k, bool)
+    for i in range(1, n + 1):
+        cur = np.full((m + 1, k), math.inf)
+        for j in range(max(1, i - band), min(m, i + band) + 1):
+            cur[j] = np.abs(x[:, i - 1] - y[:, j - 1]) + np.minimum(np.minimum(prev[j], prev[j - 1]), cur[j - 1])
+        over |= cur.min(0) > stop
+        if over.all():
+            break
+        prev = cur
+    return np.where(over, math.inf, prev[m])
+
+
+def dtw(pairs: DataFrame, x: str = "x", y: str = "y", band: int | None = None, stop: float = math.inf) -> DataFrame:
+    """Adds ``dtw`` to rows with two arrays: infinite where it is known to exceed ``stop``."""
 
     @F.pandas_udf("double")
     def one(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([dtw_arrays(np.asarray(p, float), np.asarray(q, float), band) for p, q in zip(a, b, strict=True)])
+        sizes = pd.Series(list(zip(a.map(len), b.map(len), strict=True)), index=a.index)
+        out = pd.Series(math.inf, index=a.index, dtype=float)
+        for _, rows in sizes.groupby(sizes).groups.items():
+            out.loc[rows] = dtw_batch(np.array(a.loc[rows].tolist(), float), np.array(b.loc[rows].tolist(), float), band, stop)
+        return out
 
     return pairs.withColumn("dtw", one(x, y))
 
 
+def lb_band(x: Column, y: Column, band: int) -> Column:
+    """A lower bound of the time-warped distance of arrays of one length: how far x lies outside the band around y."""
+
+    def outside(v: Column, i: Column) -> Column:
+        near = F.slice(y, F.greatest(F.lit(1), i + 1 - band), F.lit(2 * band + 1) - F.greatest(F.lit(0), F.lit(band) - i))
+        return F.greatest(v - F.array_max(near), F.array_min(near) - v, F.lit(0.0))
+
+    return F.aggregate(F.transform(x, outside), F.lit(0.0), lambda s, t: s + t)
+
+
+def dtw_knn(queries: DataFrame, vectors: DataFrame, k: int, band: int, most_queries: int = 10_000) -> DataFrame:
+    """(query_id, vec_id, dtw, rank): the ``k`` nearest of ``vectors`` by time-warped distance for each query row, in blocks
+    of queries as ``knn``."""
+    return _nearest(queries, vectors, k, most_queries, "dtw", lambda rows: dtw(rows, "embedding", "_q", band).withColumn("dtw", snap(F.col("dtw"), 6)))
+
+
 def knn(queries: DataFrame, vectors: DataFrame, k: int, most_queries: int = 10_000) -> DataFrame:
     """(query_id, vec_id, distance, rank): the ``k`` nearest of ``vectors`` (vec_id, embedding) for each query row. Any
     number of queries is worked through in blocks of about ``most_queries``, dealt by a hash of the id, each of which
     travels to every block of vectors; ties go to the smaller id."""
+    d = snap(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
+    return _nearest(queries, vectors, k, most_queries, "distance", lambda rows: rows.withColumn("distance", d))
+
+
+def _nearest(queries: DataFrame, vectors: DataFrame, k: int, most_queries: int, name: str, measured) -> DataFrame:
     blocks = max(1, math.ceil(queries.count() / most_queries))
     out = None
     for i in range(blocks):
         part = queries if blocks == 1 else queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == i)
         q = part.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("_q"))
-        rows = vectors.join(F.broadcast(q), F.col("vec_id") != F.col("query_id"))
-        d = snap(array_distance(F.col("embedding").cast("array<double>"), F.col("_q").cast("array<double>")), 6)
-        rank = F.row_number().over(Window.partitionBy("query_id").orderBy("distance", "vec_id"))
-        near = rows.select("query_id", "vec_id", d.alias("distance")).withColumn("rank", rank).where(F.col("rank") <= k)
+        rows = measured(vectors.join(F.broadcast(q), F.col("vec_id") != F.col("query_id")))
+        rank = F.row_number().over(Window.partitionBy("query_id").orderBy(name, "vec_id"))
+        near = rows.select("query_id", "vec_id", name).withColumn("rank", rank).where(F.col("rank") <= k)
         out = near if out is None else out.unionAll(near)
     return out
 
@@ -93,6 +135,18 @@ def haar(a: SeriesFrame) -> DataFrame:
     return a.df.groupBy("series_id", g.alias("idx")).agg(((even + odd) / F.sqrt(F.lit(2.0))).alias("smooth"), ((even - odd) / F.sqrt(F.lit(2.0))).alias("detail")).where("smooth IS NOT NULL")
 
 
+def haar_levels(a: SeriesFrame, levels: int) -> DataFrame:
+    """(series_id, level, idx, smooth, detail): all levels of the Haar transform by one grouping, from 1 for neighbouring
+    entries; only complete blocks of 2 ** level entries have coefficients."""
+    rows = a.df.where("v IS NOT NULL").withColumn("level", F.explode(F.sequence(F.lit(1), F.lit(levels))))
+    size = F.pow(F.lit(2.0), F.col("level")).cast("long")
+    half = F.floor(F.col("idx") / (size / 2)) % 2
+    scale = F.sqrt(F.pow(F.lit(2.0), F.col("level")))
+    g = rows.groupBy("series_id", "level", F.floor(F.col("idx") / size).alias("idx")).agg(
+        (F.sum("v") / F.first(scale)).alias("smooth"), (F.sum(F.when(half == 0, F.col("v")).otherwise(-F.col("v"))) / F.first(scale)).alias("detail"), F.count("v").alias("_n"))
+    return g.where(F.col("_n") == F.pow(F.lit(2.0), F.col("level")).cast("long")).drop("_n")
+
+
 def dft(a: SeriesFrame, k: int, n: int) -> DataFrame:
     """(series_id, freq, re, im): the first ``k`` coefficients of series of ``n`` entries."""
     rows = a.df.withColumn("freq", F.explode(F.sequence(F.lit(0), F.lit(k - 1))))
@@ -127,10 +181,19 @@ def svd(vectors: DataFrame, k: int, column: str = "embedding") -> DataFrame:
     """Vectors projected on the first ``k`` right singular vectors; the Gram matrix, as small as the dimension, is
     summed on the executors."""
     dim = len(vectors.select(column).first()[0])
-    cells = vectors.select(F.posexplode(column).alias("i", "x"), column).select("i", "x", F.posexplode(column).alias("j", "y"))
-    gram = np.zeros((dim, dim))
-    for r in cells.groupBy("i", "j").agg(F.sum(F.col("x").cast("double") * F.col("y")).alias("g")).collect():  # dim ** 2 rows
-        gram[r["i"], r["j"]] = r["g"]
+
+    def products(batches):
+        total = np.zeros((dim, dim))
+        for b in batches:
+            x = np.array(b[column].tolist(), float).reshape(-1, dim)
+            total += x.T @ x
+        yield pd.DataFrame({"g": [total.ravel().tolist()]})
+
+    parts = vectors.select(column).mapInPandas(products, "g array<double>").select(F.posexplode("g").alias("at", "g")).groupBy("at").agg(F.sum("g").alias("g"))
+    gram = np.zeros(dim * dim)
+    for r in parts.collect():  # dim ** 2 rows
+        gram[r["at"]] = r["g"]
+    gram = gram.reshape(dim, dim)
     _, vec = np.linalg.eigh(gram)
     top = vec[:, ::-1][:, :k]
     parts = [F.aggregate(F.zip_with(F.col(column).cast("array<double>"), F.array(*[F.lit(float(x)) for x in top[:, c]]), lambda a, b: a * b), F.lit(0.0), lambda s, t: s + t) for c in range(k)]

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .. import nulls
+from ..calendar import unit_window
 from ..series import SeriesFrame
 from . import algebra, window
 
@@ -34,6 +35,11 @@ class Strategy:
     smooth: int = 9
     factor: float = 1.1
 
+    def scaled(self, unit: str, hours_per_day: float = 8.5) -> Strategy:
+        """The same strategy, its windows given in days, on entries of another unit."""
+        n = lambda days: unit_window(days, unit, hours_per_day)
+        return Strategy(n(self.short), n(self.long), n(self.smooth), self.factor)
+
     def events(self, price: SeriesFrame) -> DataFrame:
         """(series_id, idx, v, event) for every entry of the price: 1 buys, 0 sells, none otherwise; a sale wins."""
         buy = buy_macd(price, self.short, self.long, self.smooth).df.where(~nulls.is_unknown(F.col("v"))).select("series_id", "idx", F.lit(True).alias("_buy"))
@@ -76,6 +82,17 @@ def simulate(strategy: Strategy, price: SeriesFrame, start: int | None = None, e
     return summarize(positions(ev))
 
 
+def simulate_units(strategy: Strategy, price: SeriesFrame, units: tuple[str, ...] = ("day", "hour", "minute"), hours_per_day: float = 8.5) -> DataFrame:
+    """The summary of a strategy given in days at several granularities: the last price of each unit, windows as long in
+    time. Adds the column unit."""
+    out = None
+    for unit in units:
+        at = price if unit == price.calendar.unit else price.reduce(unit, "last")
+        one = simulate(strategy.scaled(unit, hours_per_day), at).withColumn("unit", F.lit(unit))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def evaluate_grid(spark: SparkSession, strategies: list[Strategy], price: SeriesFrame, top: int = 10) -> DataFrame:
     """All strategies on all series at once, the best of each strategy ranked.
 

@@ -35,22 +35,35 @@ def safe(x: Column, y: Column) -> Column:
     return F.when(y != 0, x / y)
 
 
+RULES = ("right", "trapezoid")
+
+
 def indicators(trips: DataFrame, rule: str = "right", stop: float = STOP_SPEED, brake: float = BRAKE, tie: str = "t") -> DataFrame:
-    """One row per trip with every indicator; a division by zero gives NULL here, as there is one entry only."""
+    """One row per trip with every indicator; a division by zero gives NULL here, as there is one entry only.
+
+    ``rule`` says how integrals over a step are taken: from its right end, or as the mean of both ends. A measure
+    without an acceleration of its own, as the first, has that of the step after it."""
+    if rule not in RULES:
+        raise ValueError(f"unknown rule: {rule}")
     d = steps(trips, stop, brake, tie)
+    rising = F.greatest(F.col("a"), F.lit(0.0))
+    d = d.withColumn("power", F.when(F.col("a").isNotNull(), F.col("v") * rising))
+    if rule == "trapezoid":
+        w = Window.partitionBy("trip_id").orderBy("t", tie) if tie != "t" else Window.partitionBy("trip_id").orderBy("t")
+        d = d.withColumn("power", (F.col("power") + F.coalesce(F.lag("power").over(w), F.col("v0") * rising)) / 2)
     speed = F.col("v") if rule == "right" else (F.col("v") + F.col("v0")) / 2
     run = Window.partitionBy("trip_id", "run")
     d = d.withColumn("km", speed * F.col("dt") / 3600.0)
     d = d.withColumn("run_hits", F.max(F.col("run_stops").cast("int")).over(run))
     dist, dur = F.sum("km"), F.sum("dt")
-    pos = F.greatest(F.col("a"), F.lit(0.0))
+    work = F.sum(F.when(F.col("dt") > 0, F.col("power") * F.col("dt")))
     rise = F.when(F.col("dv") > 0, F.col("v") * F.col("v") - F.col("v0") * F.col("v0")).otherwise(0.0)
     braked = F.when(F.col("slower") & (F.col("run_hits") == 1), F.col("v0") * F.col("dt") / 3600.0)
     has = lambda c: c in trips.columns
     cols = [
         F.count(F.lit(1)).alias("n"), dur.alias("duration"), dist.alias("distance"), F.avg("v").alias("avg_speed"), F.avg(F.when(~F.col("still"), F.col("v"))).alias("avg_driving_speed"),
         F.avg("a").alias("avg_accel"), F.avg(F.when(F.col("a") > 0, F.col("a"))).alias("avg_positive_accel"),
-        safe(F.sum(F.when(F.col("dt") > 0, F.col("v") * pos * F.col("dt"))), dur).alias("rpa"), safe(F.sum(F.when(F.col("dt") > 0, F.col("v") * pos * F.col("dt"))), dist).alias("rpa_distance"),
+        safe(work, dur).alias("rpa"), safe(work, dist).alias("rpa_distance"),
         safe(F.sum(rise), dur).alias("pke"), safe(F.sum(rise), dist).alias("pke_distance"),
         safe(F.sum(F.when(F.col("still"), F.col("dt")).otherwise(0.0)), dur).alias("pst"),
         F.count_if("stop_on").alias("stops"), safe(F.sum(F.when(F.col("still"), F.col("dt"))), F.count_if("stop_on").cast("double")).alias("mean_stop"),

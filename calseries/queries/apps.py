@@ -10,7 +10,7 @@ from ..operators import strategy as S
 from ..operators import trips as T
 from ..series import SeriesFrame, result, snap
 from ..sources import base as B
-from .text import HOURLY, LEVEL, SUPPLIER, TRIPS, TRIPS8, frame, registry, series
+from .text import HOURLY, LEVEL, MINUTES, SUPPLIER, TRIPS, TRIPS8, frame, registry, series
 
 QUERIES, ORACLES, query = registry()
 
@@ -29,8 +29,8 @@ query("supplier_buy", series(SUPPLIER, f"SELECT * FROM ({line_sql('supp')}) WHER
 query("supplier_sell", series(SUPPLIER, f"SELECT * FROM ({ratio_sql('supp')}) WHERE v > 1.1", 6))(lambda s, d: result(S.sell_ratio(B.supplier_daily(s, d)), 6))
 
 
-def events_sql(cte: str, t: str, factor: float = 1.1) -> str:
-    return f"""{cte}, l AS ({line_sql(t)}), q AS ({ratio_sql(t)}),
+def events_sql(cte: str, t: str, factor: float = 1.1, short: int = 12, long: int = 26, smooth: int = 9) -> str:
+    return f"""{cte}, l AS ({line_sql(t, short, long, smooth)}), q AS ({ratio_sql(t, short, long)}),
   ev AS (SELECT p.series_id, p.idx, p.v, CASE WHEN q.v > {factor} THEN 0 WHEN l.v > 0 THEN 1 END AS event FROM {t} p JOIN l USING (series_id, idx) JOIN q USING (series_id, idx)),
   pos AS (SELECT *, coalesce(last_value(event IGNORE NULLS) OVER (PARTITION BY series_id ORDER BY idx ROWS UNBOUNDED PRECEDING), 0) AS position FROM ev)"""
 
@@ -78,6 +78,17 @@ def strategy_pnl_interval(s: SparkSession, d: str) -> DataFrame:
     return rounded(S.simulate(S.Strategy(), B.level(s, d), 500, 1500))
 
 
+#: A strategy in days, at each unit: its table of prices and its windows there.
+UNITS = {"day": (1440, 2, 5, 2), "hour": (60, 16, 40, 16), "minute": (1, 1020, 2550, 1020)}
+UNIT_SQL = " UNION ALL ".join(
+    f"SELECT *, '{u}' AS unit FROM (WITH {events_sql(f'{MINUTES}, px AS (SELECT series_id, idx // {n} AS idx, arg_max(v, idx) AS v FROM mins GROUP BY ALL)', 'px', 1.1, a, b, c)}{summary_sql('pos')} {PNL})" for u, (n, a, b, c) in UNITS.items())
+
+
+@query("strategy_units", UNIT_SQL)
+def strategy_units(s: SparkSession, d: str) -> DataFrame:
+    return rounded(S.simulate_units(S.Strategy(2, 5, 2), B.event_minutes(s, d)))
+
+
 GRID = [S.Strategy(a, b, m, f) for a, b in ((5, 20), (12, 26)) for m in (5, 9) for f in (1.1, 1.3)]
 
 
@@ -139,6 +150,11 @@ def eco(cols: dict[str, str]):
 for _name, _cols in COLUMNS.items():
     query(_name, trips_sql(TRIPS8) + " SELECT CAST(trip_id AS BIGINT) AS trip_id, " + ", ".join(x if c in WHOLE else f"round({x}, 5) AS {c}" for c, x in _cols.items()) + " FROM g")(eco(_cols))
 
+TRAPEZOID = f"""WITH {TRIPS8}, a AS (SELECT *, lag(v) OVER w AS v0, t - lag(t) OVER w AS dt FROM trips WINDOW w AS (PARTITION BY trip_id ORDER BY t, event_id)),
+  b AS (SELECT *, CASE WHEN dt > 0 THEN (v - v0) / dt END AS a FROM a), c AS (SELECT *, CASE WHEN a IS NOT NULL THEN v * greatest(a, 0) END AS p FROM b),
+  d AS (SELECT *, (p + coalesce(lag(p) OVER (PARTITION BY trip_id ORDER BY t, event_id), v0 * greatest(a, 0))) / 2 AS q FROM c)
+  SELECT CAST(trip_id AS BIGINT) AS trip_id, round(sum(q * dt) FILTER (dt > 0) / sum(dt), 5) AS rpa, round(sum((v + v0) / 2 * dt / 3600), 5) AS distance FROM d GROUP BY trip_id"""
+query("eco_rpa_trapezoid", TRAPEZOID)(lambda s, d: T.indicators(B.trips8(s, d), "trapezoid", tie="event_id").select("trip_id", snap(F.col("rpa"), 5).alias("rpa"), snap(F.col("distance"), 5).alias("distance")))
 query("eco_users", trips_sql(TRIPS) + " SELECT CAST(trip_id AS BIGINT) AS trip_id, n, round(rises / nullif(duration, 0), 5) AS pke, round(standing / nullif(duration, 0), 5) AS pst, round(power / nullif(duration, 0), 5) AS rpa FROM g")(
     lambda s, d: T.indicators(B.trips(s, d), tie="event_id").select("trip_id", "n", *[snap(F.col(c), 5).alias(c) for c in ("pke", "pst", "rpa")]))
 

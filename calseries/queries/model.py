@@ -45,11 +45,11 @@ def calendar_open_days(s: SparkSession, d: str) -> DataFrame:
 
 query("slice_interval", series(LEVEL, "SELECT * FROM level WHERE idx BETWEEN 400 AND 900"))(lambda s, d: result(B.level(s, d).slice(400, 900)))
 query("tick_index", series(TICKS, "SELECT * FROM ticks"))(lambda s, d: result(B.ticks(s, d)))
-query("calendar_expand", series(LEVEL, "SELECT series_id, idx * 4 + k AS idx, v FROM level CROSS JOIN range(4) g(k) WHERE idx < 300".replace("* 4", "* 24").replace("range(4)", "range(24)")))(
-    lambda s, d: result(B.level(s, d).slice(0, 299).expand("hour")))
+query("calendar_expand", series(LEVEL, "SELECT series_id, idx * 4 + k AS idx, v FROM level CROSS JOIN range(4) g(k)".replace("* 4", "* 24").replace("range(4)", "range(24)")))(
+    lambda s, d: result(B.level(s, d).expand("hour")))
 query("calendar_expand_linear", series(LEVEL, """SELECT series_id, idx * 24 + k AS idx, CASE WHEN nv IS NULL THEN v ELSE v + (nv - v) * k / ((ni - idx) * 24) END AS v
-  FROM (SELECT *, lead(v) OVER (ORDER BY idx) AS nv, lead(idx) OVER (ORDER BY idx) AS ni FROM level WHERE idx < 200) CROSS JOIN range(24) g(k) WHERE nv IS NOT NULL OR k = 0"""))(
-    lambda s, d: result(B.level(s, d).slice(0, 199).expand("hour", "linear")))
+  FROM (SELECT *, lead(v) OVER (ORDER BY idx) AS nv, lead(idx) OVER (ORDER BY idx) AS ni FROM level) CROSS JOIN range(24) g(k) WHERE nv IS NOT NULL OR k = 0"""))(
+    lambda s, d: result(B.level(s, d).expand("hour", "linear")))
 query("reduce_minute_hour", series(MINUTES, "SELECT series_id, idx // 60 AS idx, avg(v) AS v FROM mins GROUP BY ALL"))(lambda s, d: result(B.event_minutes(s, d).reduce("hour", "avg")))
 query("reduce_day_month", series(LEVEL, """SELECT series_id, date_diff('month', DATE '1995-01-01', DATE '1995-01-01' + CAST(idx AS INTEGER)) AS idx, max(v) AS v FROM level GROUP BY ALL"""))(
     lambda s, d: result(B.level(s, d).reduce("month", "max")))

@@ -27,7 +27,8 @@ PAIR = f"WITH {TWO_TYPES} SELECT 'e' AS series_id, round({{}}, 5) AS distance FR
 for _name, _p, _sql in (("dist_euclidean", 2.0, "sqrt(sum(pow(e1.v - e2.v, 2)))"), ("dist_l1", 1.0, "sum(abs(e1.v - e2.v))"), ("dist_chebyshev", float("inf"), "max(abs(e1.v - e2.v))")):
     query(_name, PAIR.format(_sql))(lambda s, d, p=_p: V.lp(*two(s, d), p).select("series_id", snap(F.col("distance"), 5).alias("distance")))
 
-QUERY_IDS = "vec_id % 100 = 7"
+#: Every row whose id is divisible by 20 asks, against all rows.
+QUERY_IDS = "vec_id % 20 = 0"
 
 
 @query("knn_embeddings", f"""SELECT query_id, vec_id, distance, CAST(k AS INTEGER) AS rank FROM (SELECT q.vec_id AS query_id, v.vec_id, round(sqrt(list_sum(list_transform(list_zip(v.embedding, q.embedding), lambda z: pow(CAST(z[1] AS DOUBLE) - CAST(z[2] AS DOUBLE), 2)))), 6) AS distance,
@@ -41,13 +42,15 @@ def knn_embeddings(s: SparkSession, d: str) -> DataFrame:
 @query("dtw_embeddings")
 def dtw_embeddings(s: SparkSession, d: str) -> DataFrame:
     v = B.read_table(s, d, "embeddings", ["vec_id", "embedding"])
-    q = v.where("vec_id = 0").select(F.col("embedding").alias("x"))
-    return V.dtw(v.select("vec_id", F.col("embedding").alias("y")).crossJoin(F.broadcast(q)), "x", "y", 8).select("vec_id", "dtw")
+    return V.dtw_knn(v.where(QUERY_IDS), v, 5, 8)
 
 
 query("paa_8", series(HOURLY, "SELECT series_id, idx // 8 AS idx, avg(v) AS v FROM hourly GROUP BY ALL"))(lambda s, d: result(V.paa(B.hourly(s, d), 8)))
 query("haar_1", f"WITH {HOURLY} SELECT series_id, CAST(idx // 2 AS BIGINT) AS idx, round((max(v) FILTER (idx % 2 = 0) + max(v) FILTER (idx % 2 = 1)) / sqrt(2), 5) AS smooth, round((max(v) FILTER (idx % 2 = 0) - max(v) FILTER (idx % 2 = 1)) / sqrt(2), 5) AS detail FROM hourly GROUP BY ALL HAVING count(*) = 2")(
     lambda s, d: V.haar(B.hourly(s, d)).select("series_id", "idx", snap(F.col("smooth"), 5).alias("smooth"), snap(F.col("detail"), 5).alias("detail")))
+HAAR = " UNION ALL ".join(f"SELECT series_id, {l} AS level, CAST(idx // {1 << l} AS BIGINT) AS idx, round(sum(v) / sqrt({1 << l}), 5) AS smooth, round(sum(CASE WHEN (idx // {1 << (l - 1)}) % 2 = 0 THEN v ELSE -v END) / sqrt({1 << l}), 5) AS detail FROM hourly GROUP BY ALL HAVING count(*) = {1 << l}" for l in (1, 2, 3, 4))
+query("haar_levels_4", f"WITH {HOURLY} {HAAR}")(
+    lambda s, d: V.haar_levels(B.hourly(s, d), 4).select("series_id", "level", "idx", snap(F.col("smooth"), 5).alias("smooth"), snap(F.col("detail"), 5).alias("detail")))
 query("dft_k", f"WITH {HOURLY} SELECT series_id, CAST(f AS INTEGER) AS freq, round(sum(v * cos(2 * pi() / 720 * f * idx)), 3) AS re, round(sum(-v * sin(2 * pi() / 720 * f * idx)), 3) AS im FROM hourly, range(4) r(f) GROUP BY ALL")(
     lambda s, d: V.dft(B.hourly(s, d), 4, 720).select("series_id", "freq", snap(F.col("re"), 3).alias("re"), snap(F.col("im"), 3).alias("im")))
 query("pla_pieces")(lambda s, d: V.pla(B.hourly_by_type(s, d), 20.0))
@@ -130,6 +133,25 @@ def stream_recursive(s: SparkSession, d: str) -> DataFrame:
     return S.run_once(S.recursive_average(S.read_events(s, d)), name, "append", scratch(s, "stream")).select("user_id", "event_id", snap(F.col("y"), 4).alias("y"))
 
 
+@query("stream_last_w", "SELECT user_id, event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS 4 PRECEDING), 4) AS y FROM events")
+def stream_last_w(s: SparkSession, d: str) -> DataFrame:
+    name = f"cs_{uuid.uuid4().hex[:12]}"
+    return S.run_once(S.last_w_average(S.read_events(s, d), 5), name, "append", scratch(s, "stream")).select("user_id", "event_id", snap(F.col("y"), 4).alias("y"))
+
+
+@query("stream_dedup", "SELECT event_id, user_id FROM events")
+def stream_dedup(s: SparkSession, d: str) -> DataFrame:
+    """Every event arrives twice."""
+    twice = S.read_events(s, d).withColumn("_copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("_copy")
+    return S.run_once(S.deduplicated(twice), f"cs_{uuid.uuid4().hex[:12]}", "append", scratch(s, "stream")).select("event_id", "user_id")
+
+
+@query("stream_static_join", "SELECT event_id, c_name FROM events LEFT JOIN customer ON user_id = c_custkey")
+def stream_static_join(s: SparkSession, d: str) -> DataFrame:
+    who = B.read_table(s, d, "customer", ["c_custkey", "c_name"]).withColumnRenamed("c_custkey", "user_id")
+    return S.run_once(S.with_dimension(S.read_events(s, d), who, "user_id"), f"cs_{uuid.uuid4().hex[:12]}", "append", scratch(s, "stream")).select("event_id", "c_name")
+
+
 @query("stream_append", series(BY_TYPE, "SELECT * FROM hbt"))
 def stream_append(s: SparkSession, d: str) -> DataFrame:
     path = scratch(s, "appended")

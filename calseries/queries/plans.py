@@ -14,7 +14,7 @@ from ..plans.cache import Cache
 from ..plans.rewrite import canonical
 from ..series import result, snap
 from ..sources import base as B
-from .text import LEVEL, TICKS, back, frame, registry, series
+from .text import LEVEL, TICKS, TWO_TYPES, back, frame, registry, series
 
 QUERIES, ORACLES, query = registry()
 
@@ -81,6 +81,40 @@ def cached(partial: bool):
     return run
 
 
+query("exec_segmented_avg_rsi", AVG_RSI)(lambda s, d: result(P.lower(X.parse(AVG_RSI_TREE), {"level": B.level(s, d)}, 256), 3))
+query("lower_chosen_length", AVG_RSI)(lambda s, d: result(P.lower(X.parse(AVG_RSI_TREE), {"level": B.level(s, d)}, None), 3))
+query("exec_two_bases", series(TWO_TYPES, f"SELECT series_id, idx, avg(v) OVER {frame(12)} AS v FROM (SELECT series_id, idx, a.m - b.m AS v FROM (SELECT series_id, idx, avg(v) OVER {frame(6)} AS m FROM e1) a JOIN (SELECT series_id, idx, avg(v) OVER {frame(6)} AS m FROM e2) b USING (series_id, idx))", 5))(
+    lambda s, d: result(P.lower(X.parse("MAVG(MINUS(MAVG(a,6),MAVG(b,6)),12)"), {"a": B.of_type(s, d, "click"), "b": B.of_type(s, d, "view")}, 128), 5))
+
+
+@query("cached_canonical", SCALED)
+def cached_canonical(s: SparkSession, d: str) -> DataFrame:
+    """Two names of one series: what the first stores the second reads."""
+    from ..session import scratch
+
+    bases, last = {"level": B.level(s, d)}, 2404 // 512
+    cache = Cache(s, scratch(s, "cache"), length=512)
+    P.execute(X.parse("SCALE(MOM(level,5),100)"), bases, [(0, last)], cache, 512, keep=True)
+    out = P.execute(X.parse("MOM(SCALE(level,100),5)"), bases, [(0, last)], cache, 512)
+    if cache.counts["segment_hits"] != last + 1:
+        raise AssertionError("an equal tree wasn't found")
+    return result(out, 2)
+
+
+@query("cached_all_nodes", AVG_RSI)
+def cached_all_nodes(s: SparkSession, d: str) -> DataFrame:
+    """Every sub-tree computed on the way is published; another order of the same sum is all read."""
+    from ..session import scratch
+
+    bases, last = {"level": B.level(s, d)}, 2404 // 512
+    cache = Cache(s, scratch(s, "cache"), length=512)
+    P.execute(X.parse(AVG_RSI_TREE), bases, [(0, 1)], cache, 512, keep="all")
+    P.execute(X.parse(AVG_RSI_TREE), bases, [(0, last)], cache, 512, keep="all")
+    if {e.name for e in cache.catalog.all()} != {"MAVG(level;w=10)", "RSI(level;w=14)", "SCALE(RSI(level;w=14);s=100)", X.name(X.parse(AVG_RSI_TREE))}:
+        raise AssertionError("a sub-tree is missing from the directory")
+    return result(P.execute(X.parse("PLUS(SCALE(RSI(level,14),100),MAVG(level,10))"), bases, [(0, last)], cache, 512), 3)
+
+
 query("cached_join_avg_rsi", AVG_RSI)(cached(False))
 query("cached_partial", AVG_RSI)(cached(True))
 

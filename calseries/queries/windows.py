@@ -11,7 +11,7 @@ from ..operators.trips import pke_literal, pke_steps
 from ..plans import segments as G
 from ..series import SeriesFrame, result, snap
 from ..sources import base as B
-from .text import registry, snapped, HOLES, LEVEL, QUOTE, SUPPLIER, TICKS, back, frame, series
+from .text import registry, HOLES, LEVEL, QUOTE, SUPPLIER, TICKS, back, frame, series
 
 QUERIES, ORACLES, query = registry()
 
@@ -100,6 +100,18 @@ query("mavg_border_first", series(LEVEL, f"SELECT series_id, idx, (sum(v) OVER {
     lambda s, d: result(W.mavg(B.level(s, d), 20, border="first"), 3))
 query("mavg_border_strict", series(LEVEL, f"SELECT series_id, idx, v FROM (SELECT series_id, idx, i0, avg(v) OVER {frame(20)} AS v FROM {FIRST}) WHERE idx - i0 >= 19", 3))(
     lambda s, d: result(W.mavg(B.level(s, d), 20, border="strict"), 3))
+PADDED = f"{LEVEL}, f0 AS (SELECT min(idx) AS i0, arg_min(v, idx) AS v0 FROM level), padded AS (SELECT * FROM level UNION ALL SELECT 'level', i0 - k, v0 FROM f0, range(1, 30) r(k))"
+INSIDE = "idx >= (SELECT i0 FROM f0)"
+query("win_border_first", series(PADDED, f"SELECT * FROM (SELECT series_id, idx, sum(v) OVER {frame(10, True)} AS v FROM padded) WHERE {INSIDE} AND v IS NOT NULL", 3))(
+    lambda s, d: result(W.win(B.level(s, d), F.sum, 10, border="first"), 3))
+query("rsi_border_first", series(f"{PADDED}, d AS (SELECT series_id, idx, v - {back(1)} AS d FROM padded)", f"""SELECT series_id, idx, CASE WHEN g + l = 0 THEN 'nan'::DOUBLE ELSE 100 * g / (g + l) END AS v
+  FROM (SELECT series_id, idx, sum(greatest(d, 0)) OVER {frame(14)} AS g, sum(greatest(-d, 0)) OVER {frame(14)} AS l, count(d) OVER {frame(14)} AS n FROM d) WHERE n > 0 AND {INSIDE}""", 6))(
+    lambda s, d: result(W.rsi(B.level(s, d), 14, border="first"), 6))
+query("xavg_border_first", series(PADDED, f"SELECT * FROM ({xavg_sql('padded', 20)}) WHERE {INSIDE}", 3))(lambda s, d: result(W.xavg(B.level(s, d), 20, border="first"), 3))
+query("macd_border_first", series(PADDED, f"SELECT * FROM (SELECT series_id, idx, avg(v) OVER {frame(12)} - avg(v) OVER {frame(26)} AS v FROM padded) WHERE {INSIDE}", 3))(lambda s, d: result(W.macd(B.level(s, d), border="first"), 3))
+query("mstd_border_first", series(PADDED, f"SELECT * FROM (SELECT series_id, idx, stddev_samp(v) OVER {frame(20)} AS v FROM padded) WHERE {INSIDE} AND v IS NOT NULL", 3))(lambda s, d: result(W.mstd(B.level(s, d), 20, border="first"), 3))
+query("rsi_selfjoin", rsi_sql(LEVEL, "level", 14))(lambda s, d: result(W.rsi(B.level(s, d), 14, "selfjoin"), 6))
+query("rsi_prefix_50", rsi_sql(LEVEL, "level", 50))(lambda s, d: result(W.rsi(B.level(s, d), 50, "prefix"), 6))
 query("xavg_3", series(LEVEL, xavg_sql("level", 3), 3))(lambda s, d: result(W.xavg(B.level(s, d), 3), 3))
 query("xavg_100", series(LEVEL, xavg_sql("level", 100), 3))(lambda s, d: result(W.xavg(B.level(s, d), 100), 3))
 query("xavg_prefix_100", series(LEVEL, xavg_sql("level", 100), 3))(lambda s, d: result(G.eval_segmented(B.level(s, d), lambda x: W.xavg(x, 100, method="prefix"), 99, length=512), 3))
@@ -134,8 +146,15 @@ def bollinger_20(s: SparkSession, d: str) -> DataFrame:
 query("stochastic_14", series(QUOTE, f"SELECT series_id, idx, CASE WHEN hi = lo THEN 'nan'::DOUBLE ELSE 100 * (close - lo) / (hi - lo) END AS v FROM (SELECT *, min(low) OVER {frame(14)} AS lo, max(high) OVER {frame(14)} AS hi FROM quote)", 6))(
     lambda s, d: result(W.stochastic(B.quote_daily(s, d)), 6))
 query("mcorr_20", series(QUOTE, f"SELECT * FROM (SELECT series_id, idx, CASE WHEN count(*) OVER {frame(20)} >= 2 THEN corr(open, close) OVER {frame(20)} END AS v FROM quote) WHERE v IS NOT NULL", 5))(
-    lambda s, d: result((lambda a: a.with_df(a.df.where("NOT isnan(v)")))(W.mcorr(B.quote_daily(s, d).slice(100, 2000), "open", "close", 20)), 5))
-ORACLES["mcorr_20"] = snapped(series(QUOTE, f"SELECT * FROM (SELECT series_id, idx, CASE WHEN count(*) OVER {frame(20)} >= 2 THEN corr(open, close) OVER {frame(20)} END AS v FROM quote WHERE idx BETWEEN 100 AND 2000) WHERE v IS NOT NULL AND NOT isnan(v)", 5))
+    lambda s, d: result(W.mcorr(B.quote_daily(s, d), "open", "close", 20), 5))
+query("mcov_20", series(QUOTE, f"SELECT * FROM (SELECT series_id, idx, CASE WHEN count(*) OVER {frame(20)} >= 2 THEN covar_samp(open, close) OVER {frame(20)} / 1e6 END AS v FROM quote) WHERE v IS NOT NULL", 4))(
+    lambda s, d: result((lambda a: a.with_df(a.df.withColumn("v", F.col("v") / 1e6)))(W.mcov(B.quote_daily(s, d), "open", "close", 20)), 4))
+query("williams_14", series(QUOTE, f"SELECT series_id, idx, CASE WHEN hi = lo THEN 'nan'::DOUBLE ELSE -100 * (hi - close) / (hi - lo) END AS v FROM (SELECT *, min(low) OVER {frame(14)} AS lo, max(high) OVER {frame(14)} AS hi FROM quote)", 6))(
+    lambda s, d: result(W.williams(B.quote_daily(s, d)), 6))
+query("mvar_20", series(LEVEL, f"SELECT * FROM (SELECT series_id, idx, var_samp(v) OVER {frame(20)} / 1e6 AS v FROM level) WHERE v IS NOT NULL", 3))(lambda s, d: result(W.mvar(B.level(s, d), 20) * 1e-6, 3))
+query("mcount_20", series(HOLES, f"SELECT series_id, idx, CAST(count(CASE WHEN NOT isnan(v) THEN 1 END) OVER {frame(20)} AS DOUBLE) AS v FROM holes"))(lambda s, d: result(W.mcount(B.level_holes(s, d), 20)))
+query("mfirst_5", series(LEVEL, f"SELECT series_id, idx, first_value(v) OVER {frame(5)} AS v FROM level"))(lambda s, d: result(W.mfirst(B.level(s, d), 5)))
+query("mlast_5", series(LEVEL, f"SELECT * FROM (SELECT series_id, idx, last_value(v) OVER {frame(5, True)} AS v FROM level) WHERE v IS NOT NULL"))(lambda s, d: result(W.mlast(B.level(s, d), 5)))
 ONE = "(PARTITION BY series_id ORDER BY idx RANGE BETWEEN 1 PRECEDING AND 1 PRECEDING)"
 query("adx_14", series(f"""{QUOTE}, p AS (SELECT *, max(high) OVER {ONE} AS ph, max(low) OVER {ONE} AS pl, max(close) OVER {ONE} AS pc FROM quote),
   m AS (SELECT series_id, idx, CASE WHEN high - ph > pl - low AND high > ph THEN high - ph ELSE 0 END AS pdm, CASE WHEN pl - low > high - ph AND pl > low THEN pl - low ELSE 0 END AS mdm,
@@ -144,8 +163,16 @@ query("adx_14", series(f"""{QUOTE}, p AS (SELECT *, max(high) OVER {ONE} AS ph,
   x AS (SELECT series_id, idx, CASE WHEN isnan(p) OR isnan(m) OR p + m = 0 THEN 'nan'::DOUBLE ELSE 100 * abs(p - m) / (p + m) END AS v FROM i)""",
     f"SELECT series_id, idx, CASE WHEN max(isnan(v)::INT) OVER {frame(14)} = 1 THEN 'nan'::DOUBLE ELSE avg(CASE WHEN NOT isnan(v) THEN v END) OVER {frame(14)} END AS v FROM x", 5))(
     lambda s, d: result(W.adx(B.quote_daily(s, d)), 5))
+WILDER = f"""RECURSIVE {QUOTE}, p AS (SELECT *, max(high) OVER {ONE} AS ph, max(low) OVER {ONE} AS pl, max(close) OVER {ONE} AS pc FROM quote),
+  o AS (SELECT idx, row_number() OVER (ORDER BY idx) AS k, CASE WHEN high - ph > pl - low AND high > ph THEN high - ph ELSE 0 END AS pdm, CASE WHEN pl - low > high - ph AND pl > low THEN pl - low ELSE 0 END AS mdm,
+    greatest(high - low, abs(high - pc), abs(low - pc)) AS tr FROM p WHERE pc IS NOT NULL),
+  y AS (SELECT k, idx, CAST(pdm AS DOUBLE) AS p, CAST(mdm AS DOUBLE) AS m, CAST(tr AS DOUBLE) AS t FROM o WHERE k = 1 UNION ALL SELECT o.k, o.idx, y.p * 13 / 14 + o.pdm / 14, y.m * 13 / 14 + o.mdm / 14, y.t * 13 / 14 + o.tr / 14 FROM y JOIN o ON o.k = y.k + 1),
+  x AS (SELECT idx, row_number() OVER (ORDER BY idx) AS k, 100 * abs(p - m) / (p + m) AS v FROM y WHERE t <> 0 AND p + m <> 0),
+  z AS (SELECT k, idx, v FROM x WHERE k = 1 UNION ALL SELECT x.k, x.idx, z.v * 13 / 14 + x.v / 14 FROM z JOIN x ON x.k = z.k + 1)"""
+query("adx_wilder_14", series(WILDER, "SELECT 'quote' AS series_id, idx, v FROM z", 4))(lambda s, d: result(W.adx(B.quote_daily(s, d), 14, "wilder"), 4))
 query("cross_up_9_macd", series(f"{LEVEL}, m AS ({MACD}), g AS (SELECT series_id, idx, avg(v) OVER {frame(9)} AS v FROM m)", "SELECT series_id, idx, v FROM (SELECT m.series_id, m.idx, m.v, round(m.v - g.v, 6) AS now, lag(round(m.v - g.v, 6)) OVER (ORDER BY m.idx) AS was FROM m JOIN g USING (series_id, idx)) WHERE now > 0 AND was <= 0", 3))(
     lambda s, d: result((lambda m: W.cross(*(x.with_df(x.df.withColumn("v", F.col("v"))) for x in (m, W.signal(m, 9)))))(W.macd(B.level(s, d))), 3))
+query("window_step_5", series(LEVEL, "SELECT series_id, k * 5 + 9 AS idx, avg(v) AS v FROM level JOIN range(1000) r(k) ON idx BETWEEN k * 5 AND k * 5 + 9 GROUP BY ALL"))(lambda s, d: result(W.stepped(B.level(s, d), 10, 5)))
 query("tumbling_avg_10", series(LEVEL, "SELECT series_id, (idx // 10) * 10 + 9 AS idx, avg(v) AS v FROM level GROUP BY ALL"))(lambda s, d: result(W.tumbling(B.level(s, d), 10)))
 
 
@@ -154,6 +181,13 @@ def predicate_window(s: SparkSession, d: str) -> DataFrame:
     return W.predicate_windows(B.level(s, d), lambda v: v > 260000).select("win", "first_idx", "last_idx", "n", snap(F.col("mean"), 3).alias("mean"))
 
 
+@query("predicate_window_end", f"""WITH {LEVEL}, e AS (SELECT *, coalesce(sum((v < 240000)::INT) OVER (ORDER BY idx ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS piece FROM level),
+  f AS (SELECT piece, min(idx) FILTER (v > 260000) AS i0, max((v < 240000)::INT) AS whole FROM e GROUP BY piece), k AS (SELECT *, row_number() OVER (ORDER BY i0) AS win FROM f WHERE i0 IS NOT NULL)
+  SELECT win, CAST(min(idx) AS BIGINT) AS first_idx, CAST(max(idx) AS BIGINT) AS last_idx, count(v) AS n, round(avg(v), 3) AS mean FROM e JOIN k USING (piece) WHERE idx >= i0 GROUP BY win""")
+def predicate_window_end(s: SparkSession, d: str) -> DataFrame:
+    return W.predicate_windows(B.level(s, d), lambda v: v > 260000, lambda v: v < 240000).select("win", "first_idx", "last_idx", "n", snap(F.col("mean"), 3).alias("mean"))
+
+
 query("supplier_mavg_20", series(SUPPLIER, f"SELECT series_id, idx, avg(v) OVER {frame(20)} AS v FROM supp", 3))(lambda s, d: result(W.mavg(B.supplier_daily(s, d), 20), 3))
 
 

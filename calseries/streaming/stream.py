@@ -14,6 +14,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..calendar import Calendar
 from ..series import SeriesFrame
+from ..session import scratch
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -63,6 +64,11 @@ def interval_join(left: DataFrame, right: DataFrame, within: str = "6 hours") ->
     return l.join(r, on).select("user_id", "l_id", "r_id")
 
 
+def dropped_late(query: StreamingQuery) -> int:
+    """Rows that the watermarks of a query have dropped so far."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def with_dimension(events: DataFrame, dimension: DataFrame, on: str) -> DataFrame:
     return events.join(dimension, on, "left")
 
@@ -90,26 +96,46 @@ def recursive_average(events: DataFrame, alpha: float = 0.1) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(step, OUT, STATE, "append", GroupStateTimeout.NoTimeout)
 
 
+def last_w_average(events: DataFrame, w: int) -> DataFrame:
+    """The mean of each user's last ``w`` values, in order of (ts, event_id) within what arrives together; the state is
+    the last w - 1 values."""
+
+    def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        last = list(state.get[0]) if state.exists else []
+        rows = pd.concat(list(parts)).sort_values(["ts", "event_id"])
+        out = []
+        for event, v in zip(rows["event_id"], rows["value"], strict=True):
+            last = [*last, float(v)][-w:]
+            out.append((key[0], event, sum(last) / len(last)))
+        state.update((last[-(w - 1) :] if w > 1 else [],))
+        yield pd.DataFrame(out, columns=["user_id", "event_id", "y"])
+
+    return events.groupBy("user_id").applyInPandasWithState(step, OUT, "last array<double>", "append", GroupStateTimeout.NoTimeout)
+
+
 # ---- sinks ------------------------------------------------------------------------------------------------------------
 
 
 def append_series(events: DataFrame, calendar: Calendar, path: str, checkpoint: str, length: int = 1024, key: str = "event_type") -> StreamingQuery:
     """Keep the mean of each entry in stored segments: a batch rewrites the segments that it touches, whole, from sums
-    and counts, so a batch that runs twice leaves the same files."""
+    and counts, so a batch that runs twice leaves the same files. What replaces them is written beside ``checkpoint``
+    first, so that no file is replaced by rows that still depend on it."""
 
     def put(batch: DataFrame, epoch: int) -> None:
         spark = batch.sparkSession
         rows = batch.select(F.col(key).cast("string").alias("series_id"), calendar.index_of(F.col("ts")).alias("idx"), "value")
         rows = rows.groupBy("series_id", "idx").agg(F.sum("value").alias("s"), F.count("value").alias("n"))
-        rows = rows.withColumn("seg", F.floor(F.col("idx") / length)).withColumn("epoch", F.lit(epoch).cast("long")).persist()
+        rows = rows.withColumn("seg", F.floor(F.col("idx") / length)).withColumn("epoch", F.lit(epoch).cast("long"))
         touched = rows.select("series_id", "seg").distinct()
         hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
         if hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(hadoop):
             old = spark.read.parquet(path).join(touched, ["series_id", "seg"], "left_semi").where(F.col("epoch") != epoch)
             rows = rows.unionByName(old.select("series_id", "idx", "s", "n", "seg", "epoch"))
         # parts of an entry stay apart by epoch: the reader adds them up
-        done = rows.select("idx", "s", "n", "epoch", "series_id", "seg").checkpoint() if spark.sparkContext.getCheckpointDir() else rows.select("idx", "s", "n", "epoch", "series_id", "seg").cache()
-        done.count()
+        rows = rows.select("idx", "s", "n", "epoch", "series_id", "seg")
+        staged = f"{checkpoint.rstrip('/')}-staged/epoch={epoch}"
+        rows.write.mode("overwrite").parquet(staged)
+        done = spark.read.schema(rows.schema).parquet(staged)
         done.repartition("series_id", "seg").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("series_id", "seg").parquet(path)
 
     return events.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
@@ -121,10 +147,18 @@ def read_appended(spark: SparkSession, path: str, calendar: Calendar) -> SeriesF
 
 
 def run_once(df: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Everything there is now into an in-memory table, and that table."""
-    w = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    w = w.option("checkpointLocation", checkpoint) if checkpoint else w
-    w.start().awaitTermination()
-    return df.sparkSession.table(name)
+    """Everything there is now, written to files below the shared folder, and those read back: a folder for each batch,
+    which a batch that runs twice overwrites. In mode "complete" the last one holds the result."""
+    spark, schema = df.sparkSession, df.schema
+    folder, epochs = scratch(spark, name), []
 
+    def put(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/epoch={epoch}")
+        epochs.append(epoch)
 
+    w = df.writeStream.foreachBatch(put).outputMode(mode).trigger(availableNow=True)
+    w = w.option("checkpointLocation", checkpoint) if checkpoint else w
+    w.start().awaitTermination()
+    if not epochs:
+        return spark.createDataFrame([], schema)
+    return spark.read.schema(schema).parquet(f"{folder}/epoch={max(epochs)}" if mode == "complete" else f"{folder}/*")
