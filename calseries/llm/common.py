@@ -71,7 +71,14 @@ def staged(df: DataFrame, label: str, *by: str) -> DataFrame:
     path = f"{shared_dir(spark)}/calseries-{label}-{uuid.uuid4().hex}"
     (df.write.partitionBy(*by) if by else df.write).parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_at = path
+    return out
+
+
+def forget(staged_: DataFrame, part: str = "") -> None:
+    """Remove what ``staged`` wrote, or one folder of it, once nothing reads it any more."""
+    _remove(staged_.sparkSession, f"{staged_.staged_at}/{part}" if part else staged_.staged_at)
 
 
 def _remove(spark: SparkSession, path: str) -> None:

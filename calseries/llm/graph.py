@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import forget, staged
 
 #: A node with more than one in so many of all edge ends is hot.
 HOT = 1000
@@ -43,7 +43,9 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", most: int = 60) ->
         large = staged(least(e, "lo", both, 2 * before[0]).select("hi", F.least("lo", "m").alias("lo")).distinct(), "edges")
         small = least(large, "hi", large.select(F.col("hi").alias("u"), F.col("lo").alias("v")), before[0])
         pairs = F.array(F.struct(F.col("hi").alias("hi"), F.col("m").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("m").alias("lo")))
-        e = staged(small.select(F.inline(pairs)).where(F.col("hi") != F.col("lo")).distinct(), "edges")
+        old, e = e, staged(small.select(F.inline(pairs)).where(F.col("hi") != F.col("lo")).distinct(), "edges")
+        forget(large)
+        forget(old)
         after = _state(e)
         if after == before:
             return e.select(F.col("hi").alias("node"), F.col("lo").alias("root"))

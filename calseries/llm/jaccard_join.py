@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, fresh, staged, table, travels
+from .common import WORD, forget, fresh, staged, table, travels
 from .graph import HOT, components, least
 from .textkit import LOWER, SPACE, U, Slab, distinct_by_text, hash_runs, mix, runs, slabs, windows
 
@@ -44,7 +44,9 @@ MOST_LIGHT = 32
 #: What a posting in an inverted list costs against an enumerated subset: it may bring the text to a cluster.
 POSTING_COST = 12
 #: Shingles in a block, where each set counts ``BLOCK_SET`` more.
-BLOCK, BLOCK_SET = 400_000, 300
+BLOCK, BLOCK_SET = 800_000, 300
+#: Most sizes of large clusters (24 bytes each) that are broadcast; more are joined by a shuffle.
+MOST_SIZES = 500_000
 KEY_BITS = 48
 #: Bits of the filter that keeps most texts outside clusters from travelling, and bits that each id sets.
 FILTER, FILTER_HASHES = 1 << 25, 3
@@ -149,7 +151,7 @@ def rarity(prints: DataFrame) -> np.ndarray:
             level = np.minimum(63, np.floor(2 * np.log2(np.maximum(x, 1)))).astype(np.uint8)
             yield pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([level.tobytes()], pa.binary())], ["block", "level"])
 
-    parts = prints.where(F.col("block").isNotNull()).select("block", "counts").repartition(blocks, "block")
+    parts = prints.where("kind = 1").select("block", "counts").repartition(blocks, "block")
     out = np.zeros(SKETCH, np.uint8)
     for r in parts.mapInArrow(add_up, "block int, level binary").collect():
         out[r["block"] * SKETCH_ROW : (r["block"] + 1) * SKETCH_ROW] = np.frombuffer(r["level"], np.uint8)
@@ -264,7 +266,8 @@ def _bits(ids: np.ndarray) -> np.ndarray:
 
 
 def only_members(docs: DataFrame, members: DataFrame) -> DataFrame:
-    """(doc_id, text) of the rows whose id may be a member's, so that few texts travel to the join that decides.
+    """(doc_id, packed) of the rows whose id may be a member's, so that few texts travel, compressed, to the join that
+    decides.
 
     The ids go into a filter of FILTER bits, whatever their number: too many let more rows pass, none is lost."""
 
@@ -299,17 +302,34 @@ def only_members(docs: DataFrame, members: DataFrame) -> DataFrame:
             for row in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True):
                 new.append(row not in seen)
                 seen.add(row)
-            yield b.filter(pa.array(new, pa.bool_())).select(["doc_id", "text"])
+            b = b.filter(pa.array(new, pa.bool_()))
+            packed = [zlib.compress((x or "").encode(), 6) for x in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary())], ["doc_id", "packed"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), text_hash().alias("th")).mapInArrow(sieve, "doc_id long, text string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), text_hash().alias("th")).mapInArrow(sieve, "doc_id long, packed binary")
+
+
+def unpacked(column: pa.Array, most: int = 200):
+    """Slabs of compressed texts, a few at a time."""
+    for lo in range(0, len(column), most):
+        texts = pa.array([zlib.decompress(x).decode() for x in column.slice(lo, most).to_pylist()], pa.large_string())
+        for slab in slabs(texts):
+            slab.lo += lo
+            yield slab
 
 
 def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """Edges (a, b) between the fingerprints of classes that connect what the links inside each cluster connect.
 
     ``members``: f1, rep (an id whose text has that set), n, cluster."""
-    w = Window.partitionBy("cluster").orderBy("n", "f1").rowsBetween(Window.unboundedPreceding, 0)
-    placed = members.withColumn("blk", F.floor(F.sum(F.col("n") + BLOCK_SET).over(w) / BLOCK).cast("int"))
+    # a cluster's members lie in order of size; of one size, in the order of a hash: a place is known without a sort
+    sizes = members.groupBy("cluster", "n").agg((F.count(F.lit(1)) * (F.col("n") + BLOCK_SET)).alias("weight"))
+    by_size = Window.partitionBy("cluster").orderBy("n")
+    sizes = sizes.withColumn("before", F.sum("weight").over(by_size) - F.col("weight")).withColumn("total", F.sum("weight").over(Window.partitionBy("cluster")))
+    large = staged(sizes.where(F.col("total") > BLOCK).drop("total"), "sizes")  # other clusters are one block
+    share = F.pmod(F.xxhash64("f1"), F.lit(1 << 20)) / F.lit(float(1 << 20))
+    placed = members.join(F.broadcast(large) if large.count() <= MOST_SIZES else large, ["cluster", "n"], "left")
+    placed = placed.withColumn("blk", F.coalesce(F.floor((F.col("before") + F.col("weight") * share) / BLOCK), F.lit(0)).cast("int")).drop("before", "weight")
     blocks = placed.groupBy("cluster", "blk").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
     x, y = blocks.alias("x"), blocks.alias("y")
     pairs = x.join(y, (F.col("x.cluster") == F.col("y.cluster")) & (F.col("x.blk") <= F.col("y.blk")) & (100 * F.col("x.hi") >= percent * F.col("y.lo")))
@@ -318,8 +338,8 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
     roles = roles.groupBy("cluster", "blk").agg(F.collect_list(F.struct("i", "j")).alias("where"))
     placed = placed.join(roles, ["cluster", "blk"]).select("rep", "f1", "cluster", "blk", "where")
 
-    texts = only_members(docs, members).select(F.col("doc_id").alias("rep"), "text")
-    spread = texts.join(placed, "rep").select("f1", "cluster", "blk", F.inline("where"), "text")
+    texts = only_members(docs, members).select(F.col("doc_id").alias("rep"), "packed")
+    spread = texts.join(placed, "rep").select("f1", "cluster", "blk", F.inline("where"), "packed")
     spread = spread.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "f1")
 
     def settle(key, f1s, blks, hs):
@@ -339,7 +359,7 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
         for b in batches:
             out = []
             f1, cluster, blk, i, j = (b.column(c).to_pylist() for c in range(5))
-            for slab in slabs(b.column(5)):
+            for slab in unpacked(b.column(5)):
                 h, owner = sets(slab, k)
                 cut = np.searchsorted(owner, np.arange(len(slab) + 1))
                 c1 = np.zeros(len(h) + 1, U)
@@ -358,7 +378,7 @@ def verified(docs: DataFrame, members: DataFrame, k: int = SHINGLE, percent: int
             yield edges(out)
         yield edges(settle(key, f1s, blks, hs) if len(f1s) > 1 else [])
 
-    return spread.select("f1", "cluster", "blk", "i", "j", "text").mapInArrow(work, "a long, b long")
+    return spread.select("f1", "cluster", "blk", "i", "j", "packed").mapInArrow(work, "a long, b long")
 
 
 def with_roots(edges: DataFrame) -> DataFrame:
@@ -370,11 +390,13 @@ def with_roots(edges: DataFrame) -> DataFrame:
 def classes_of(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
     """The rows (doc_id, th, n, f1, f2), and their classes: f1, f2, n, times and ``first``, the (doc_id, th) that is least
     in the whole component. Classes whose rows have null ids only have no ``first``."""
-    prints = staged(fingerprints(docs, k), "prints")
-    rows = prints.where(F.col("block").isNull()).select("doc_id", "th", "n", "f1", "f2")
+    prints = staged(fingerprints(docs, k).withColumn("kind", F.col("block").isNotNull().cast("int")), "prints", "kind")
+    rows = prints.where("kind = 0").select("doc_id", "th", "n", "f1", "f2")
     by_size = {r["n"]: r["count"] for r in rows.where(F.col("n").between(1, 2 * MOST_LIGHT)).groupBy("n").count().collect()}
     boundary = choose_boundary(by_size, percent)
-    clusters = with_roots(chains(postings(docs, rarity(prints), boundary, k, percent), percent))
+    levels = rarity(prints)
+    forget(prints, "kind=1")
+    clusters = with_roots(chains(postings(docs, levels, boundary, k, percent), percent))
     own = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "th"))).alias("own")
     classes = staged(rows.where("n > 0").groupBy("f1", "f2", "n").agg(own, F.count(F.lit(1)).alias("times")), "classes")
     members = classes.where(F.col("own").isNotNull()).join(clusters, F.col("f1") == F.col("node"))
