@@ -276,16 +276,12 @@ def xavg(a: SeriesFrame, w: int, alpha: float | None = None, normalize: bool = T
     return put(a, xavg_column(a, w, alpha, normalize, method))
 
 
-#: The longest segment with its halo for which ``auto`` takes running sums.
-LONG_SEGMENT = 5000
-
-
 def xavg_column(a: SeriesFrame, w: int, alpha: float | None = None, normalize: bool = True, method: str = "auto") -> Column:
     alpha = 2.0 / (w + 1) if alpha is None else alpha
     q = 1.0 - alpha
     v = F.col("v")
     if method == "auto":
-        method = "prefix" if "seg_at" in a.df.columns and span(alpha) >= LONG_SEGMENT + w else "fold"
+        method = "prefix" if a.seg_length is not None and a.seg_length <= span(alpha) else "fold"
     if method == "fold":
         s = over(a, w)
         items = F.collect_list(F.struct(F.col("idx").alias("i"), real(v).alias("x"))).over(s)

@@ -56,6 +56,35 @@ def fit(rows: list[tuple[float, float, float, float]], n: float, central: float
     return Model(a, b, c, (central / n) if central else a)
 
 
+def fit_total(rows: list[tuple[float, float]], n: float) -> Model:
+    """The same curve from whole times alone: non-negative a, b and c that come nearest to (p, time) rows; p above 1."""
+    import itertools
+
+    import numpy as np
+
+    p, t = (np.array(c, float) for c in zip(*rows, strict=True))
+    terms = np.stack([n / p, p * np.log2(p), np.full(len(p), float(n))], 1)
+    best, loss = np.zeros(3), float((t**2).sum())
+    for used in itertools.chain.from_iterable(itertools.combinations(range(3), k) for k in (1, 2, 3)):
+        x = np.zeros(3)
+        x[list(used)] = np.linalg.lstsq(terms[:, used], t, rcond=None)[0]
+        if (x >= 0).all() and float(((terms @ x - t) ** 2).sum()) < loss:
+            best, loss = x, float(((terms @ x - t) ** 2).sum())
+    a, b, c = (float(v) for v in best)
+    return Model(a, b, c, a)
+
+
+def linearity(rows: list[tuple[float, float]]) -> dict[str, float]:
+    """Slope, intercept and r2 of the least-squares line through (size, time) rows."""
+    import numpy as np
+
+    x, y = (np.array(c, float) for c in zip(*rows, strict=True))
+    slope, intercept = np.polyfit(x, y, 1)
+    rest = ((y - slope * x - intercept) ** 2).sum()
+    total = ((y - y.mean()) ** 2).sum()
+    return {"slope": float(slope), "intercept": float(intercept), "r2": float(1 - rest / total) if total else 1.0}
+
+
 def published_model() -> Model:
     return fit([(p, t_route(p, one), proc, net) for p, one, proc, net, _ in PUBLISHED], PUBLISHED_N, PUBLISHED_CENTRAL)
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -18,12 +19,12 @@ def segment(a: SeriesFrame, length: int = 1024, left: int = 128, right: int = 12
     hi = F.floor((F.col("idx") + left) / length)
     copies = a.df.withColumn("seg", F.explode(F.sequence(F.greatest(F.lit(0).cast("long"), lo), hi)))
     copies = copies.withColumn("is_core", F.floor(F.col("idx") / length) == F.col("seg"))
-    return a.with_df(copies.withColumn("seg_at", F.col("seg") * length))
+    return replace(a.with_df(copies.withColumn("seg_at", F.col("seg") * length)), seg_length=length + left + right)
 
 
 def core(a: SeriesFrame) -> SeriesFrame:
     """The rows that belong to their segment, without the segment's columns."""
-    return a.with_df(a.df.where("is_core").drop("seg", "seg_at", "is_core"))
+    return replace(a.with_df(a.df.where("is_core").drop("seg", "seg_at", "is_core")), seg_length=None)
 
 
 def eval_segmented(a: SeriesFrame, op: Callable[[SeriesFrame], SeriesFrame], lookback: int, lookahead: int = 0, length: int = 1024) -> SeriesFrame:

@@ -26,6 +26,8 @@ class SeriesFrame:
     df: DataFrame
     calendar: Calendar
     name: str = "series"
+    #: Entries of a segment with its halo, where the frame is cut.
+    seg_length: int | None = None
 
     # ---- construction -------------------------------------------------------------------------------------------------
 
