@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,6 +31,8 @@ MIN_DOCS = 4
 #: Of the terms that learn later: the size of their first factors as a share, and what their steps are divided by at first.
 LATER, DAMP = 0.25, 1e-2
 STEMS = (4, 5, 6)
+#: Texts whose terms the fit looks at together outside its steps, so that the driver holds each term in 8 bytes.
+BLOCK_DOCS = 512
 THRESHOLD = 0.7
 
 
@@ -60,11 +63,19 @@ def gather(sample: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
                     [b.column(2)[rows], b.column(1)[rows], pa.array([bucket[cut[i] : cut[i + 1]].astype("<i4").tobytes() for i in range(len(slab))], pa.binary())], ["doc_id", "y", "terms"]
                 )
 
-    got = sample.select(F.col("text").cast("string"), "y", F.col("doc_id").cast("long")).mapInArrow(work, "doc_id long, y int, terms binary").toPandas().sort_values(["doc_id", "y"], kind="stable")
-    parts = [np.frombuffer(v, "<i4") for v in got["terms"]]
-    off = np.zeros(len(parts) + 1, np.int64)
-    np.cumsum([len(p) for p in parts], out=off[1:])
-    return got["y"].to_numpy(np.int64), np.concatenate([*parts, np.zeros(0, np.int32)]), off
+    got = sample.select(F.col("text").cast("string"), "y", F.col("doc_id").cast("long")).mapInArrow(work, "doc_id long, y int, terms binary").toArrow()
+    order = pc.sort_indices(got, [("doc_id", "ascending"), ("y", "ascending")]).to_numpy()
+    sizes = pc.binary_length(got["terms"]).to_numpy().astype(np.int64)[order] // 4
+    off = np.zeros(len(order) + 1, np.int64)
+    np.cumsum(sizes, out=off[1:])
+    place = np.empty(len(order), np.int64)
+    place[order] = np.arange(len(order))
+    bucket, row = np.empty(off[-1], np.int32), 0
+    for chunk in got["terms"].chunks:  # each row's terms go straight to their place
+        for v in chunk:
+            bucket[off[place[row]] : off[place[row] + 1]] = np.frombuffer(v.as_buffer(), "<i4")
+            row += 1
+    return got["y"].to_numpy()[order].astype(np.int64), bucket, off
 
 
 class Machine:
@@ -84,6 +95,27 @@ class Machine:
         return out
 
 
+def blocks(bucket: np.ndarray, off: np.ndarray):
+    """Some texts at a time: their first number, the buckets of their terms, and the texts of these, from 0."""
+    for lo in range(0, len(off) - 1, BLOCK_DOCS):
+        cut = off[lo : lo + BLOCK_DOCS + 1]
+        yield lo, bucket[cut[0] : cut[-1]], np.repeat(np.arange(len(cut) - 1), np.diff(cut))
+
+
+def placed(bucket: np.ndarray, off: np.ndarray, index: np.ndarray, total: int) -> tuple[np.ndarray, np.ndarray]:
+    """What ``index`` gives for the ``total`` terms that it knows, and the offsets of their texts."""
+    at, cut, end = np.empty(total, np.int32), np.zeros(len(off), np.int64), 0
+    for lo, b, own in blocks(bucket, off):
+        here = index[b]
+        known = here >= 0
+        here, n = here[known], int(known.sum())
+        at[end : end + n] = here
+        end += n
+        size = min(BLOCK_DOCS, len(off) - 1 - lo)
+        cut[lo + 1 : lo + 1 + size] = np.bincount(own[known], minlength=size)
+    return at, np.cumsum(cut)
+
+
 def learn(y: np.ndarray, bucket: np.ndarray, off: np.ndarray, epochs: int = 12, rate: float = 0.1, decay: float = 2e-4, seed: int = 7) -> Machine:
     """Logistic loss by minibatches with adaptive steps; a few terms in all texts and rare ones are left out."""
     n = len(y)
@@ -92,26 +124,25 @@ def learn(y: np.ndarray, bucket: np.ndarray, off: np.ndarray, epochs: int = 12,
     if n == 0 or share in (0.0, 1.0):
         return model
     rng = np.random.default_rng(seed)
-    df = np.bincount(bucket, minlength=1 << BITS)
-    owner = np.repeat(np.arange(n, dtype=np.int32), np.diff(off))
-    hits = np.bincount(bucket[y[owner] == 1], minlength=1 << BITS)
+    df, hits = np.zeros((2, 1 << BITS), np.int64)
+    for lo, b, own in blocks(bucket, off):
+        df += np.bincount(b, minlength=1 << BITS)
+        hits += np.bincount(b[y[lo + own] == 1], minlength=1 << BITS)
     kept = np.flatnonzero(df >= min(MIN_DOCS, max(2, n // 200)))
     # terms whose share of label 1 differs from the whole's by more than chance explains learn first, then all of them on
     # what is left unexplained: what is neutral alone may matter in a pair
     first_ = np.abs(hits - df * share)[kept] > 2.5 * np.sqrt(df[kept] * share * (1 - share) + 1e-9)
     model.index[kept] = np.arange(len(kept))
     w, v = np.zeros(len(kept)), rng.normal(0, 0.02, (len(kept), FACTORS)) * np.where(first_, 1, LATER)[:, None]
-    every = model.index[bucket]
     # the others' steps begin smaller, since rare terms would else learn single texts by heart
     gw, gb, bias = np.where(first_, 1e-6, DAMP), 1e-6, model.bias
     gv = np.repeat(gw[:, None], FACTORS, 1)
     for epoch in range(2 * epochs):
         if epoch in (0, epochs):
-            known = every >= 0
-            if epoch == 0:
-                known[known] = first_[every[known]]
-            at, rows = every[known], owner[known]
-            cut = np.searchsorted(rows, np.arange(n + 1))
+            now, at = kept[first_] if epoch == 0 else kept, None
+            index = np.full(1 << BITS, -1, np.int32)
+            index[now] = model.index[now]
+            at, cut = placed(bucket, off, index, int(df[now].sum()))
         order = rng.permutation(n)
         for lo in range(0, n, 256):
             docs = order[lo : lo + 256]
