@@ -8,7 +8,7 @@ which a block's mean is its byte: the thumbnail of the stored stream is the payl
 The decoder works on all restart intervals of a group of streams side by side, one block a step.
 
 Defined cases: a null or empty text is a payload of one unit of padding; a payload above ``MOST_ROWS`` rows of blocks
-goes into several streams laid end to end; a damaged or non-baseline stream raises ``ValueError``; repeated rows give equal values.
+goes into several streams laid end to end; of components in scans of their own, the first's is decoded; a damaged or non-baseline stream raises ``ValueError``; repeated rows give equal values.
 """
 
 from __future__ import annotations
@@ -16,7 +16,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -151,7 +151,7 @@ def store(payloads: list[bytes]) -> list[bytes]:
 
 @dataclass
 class Stream:
-    """One parsed baseline image: its frame, its tables and the place of its single scan's data."""
+    """One parsed baseline image: its frame, and the place and tables of the scan that holds its luminance."""
 
     width: int = 0
     height: int = 0
@@ -174,7 +174,7 @@ def parse(data: bytes) -> list[Stream]:
     while at < len(data):
         if data[at : at + 2] != b"\xff\xd8":
             raise ValueError("a stream must start with SOI")
-        s, at = Stream(), at + 2
+        s, found, at = Stream(), None, at + 2
         while True:
             if at + 2 > len(data) or data[at] != 0xFF:
                 raise ValueError("marker expected")
@@ -203,10 +203,7 @@ def parse(data: bytes) -> list[Stream]:
             elif marker == 0xDD:
                 (s.every,) = struct.unpack(">H", body)
             elif marker == 0xDA:
-                s.scan = [(body[1 + 2 * i], body[2 + 2 * i] >> 4, body[2 + 2 * i] & 15) for i in range(body[0])]
-                if len(s.scan) != len(s.parts):
-                    raise ValueError("scans of single components are not read")
-                s.begin = at
+                scan, begin = [(body[1 + 2 * i], body[2 + 2 * i] >> 4, body[2 + 2 * i] & 15) for i in range(body[0])], at
                 while True:
                     at = data.find(b"\xff", at)
                     if at < 0 or at + 1 >= len(data):
@@ -215,12 +212,14 @@ def parse(data: bytes) -> list[Stream]:
                         at += 2
                         continue
                     break
-                s.end = at
+                # components may come in scans of their own, with new tables between them: what holds for luminance's counts
+                if found is None and s.parts and s.parts[0][0] in [c for c, _, _ in scan]:
+                    found = replace(s, quant=dict(s.quant), huff=dict(s.huff), scan=scan, begin=begin, end=at)
             elif 0xC1 <= marker <= 0xCF and marker != 0xC8 and marker != 0xCC:
                 raise ValueError("not a baseline stream")
-        if not s.scan or not s.width or not s.height:
-            raise ValueError("no frame or no scan")
-        out.append(s)
+        if found is None or not found.width or not found.height:
+            raise ValueError("no frame or no scan of luminance")
+        out.append(found)
     return out
 
 
@@ -271,9 +270,10 @@ def _decode(streams: list[tuple[bytes, Stream]]) -> list[np.ndarray]:
     table_ac = {t: lookup(*first.huff[0x10 | t]) for _, _, t in first.scan}
     shape = {c: (h, v) for c, h, v, _ in first.parts}
     hm, vm = max(h for h, _ in shape.values()), max(v for _, v in shape.values())
-    alone = len(first.parts) == 1
-    if alone:  # a single component is not interleaved: a unit is one block
-        shape, hm, vm = {first.parts[0][0]: (1, 1)}, 1, 1
+    luma = first.parts[0][0]
+    ph, pv = hm // shape[luma][0], vm // shape[luma][1]
+    if len(first.scan) == 1:  # a single component is not interleaved: a unit is one of its blocks
+        shape, hm, vm = {luma: (1, 1)}, ph, pv
     units_x = np.array([-(-s.width // (8 * hm)) for _, s in streams])
     units = units_x * np.array([-(-s.height // (8 * vm)) for _, s in streams])
     every = np.array([s.every or u for (_, s), u in zip(streams, units.tolist(), strict=True)])
@@ -284,7 +284,6 @@ def _decode(streams: list[tuple[bytes, Stream]]) -> list[np.ndarray]:
     todo = np.minimum(every[owner], units[owner] - inner * every[owner])
     order = np.argsort(-todo, kind="stable")
     todo, bit = todo[order], starts[order] * 8
-    luma = first.scan[0][0]
     blocks = shape[luma][0] * shape[luma][1]
     at = spans(units * blocks)
     base = at[owner[order]] + inner[order] * every[owner[order]] * blocks
@@ -331,7 +330,6 @@ def _decode(streams: list[tuple[bytes, Stream]]) -> list[np.ndarray]:
     for n, (_, s) in enumerate(streams):
         h, v = shape[luma]
         x = sample[at[n] : at[n + 1]].reshape(-1, units_x[n], v, h).swapaxes(1, 2).reshape(-1, units_x[n] * h)
-        ph, pv = (1, 1) if alone else (hm // h, vm // v)
         planes.append(x[: -(-s.height // (8 * pv)), : -(-s.width // (8 * ph))])
     return planes
 

@@ -480,6 +480,50 @@ def test_jpeg_reads_colour_streams(h, v, every):
     assert (jpeg.dc_planes([data])[0][0] == want).all()
 
 
+def split_stream(h, v, order, width=40, height=24, every=0):
+    """Three components in scans of their own, each with tables of its own, and the luminance's DC plane."""
+    rng = random.Random(h * 10 + v + every)
+    seg, scans, want = jpeg._segment, {}, None
+    for c, (ch, cv) in enumerate([(h, v), (1, 1), (1, 1)]):
+        size = list(range(12))
+        rng.shuffle(size)
+        counts, symbols = jpeg.table_of({k: 4 for k in size})
+        code = jpeg.codes_of(counts, symbols)
+        nx, ny = -(-(-(-width * ch // h)) // 8), -(-(-(-height * cv // v)) // 8)
+        plane, body, bits, pred, mark = np.array([[rng.randrange(-180, 180) for _ in range(nx)] for _ in range(ny)]), b"", "", 0, 0
+        for n, val in enumerate([*plane.ravel().tolist(), None]):
+            if val is None or every and n and n % every == 0:
+                bits += "1" * (-len(bits) % 8)
+                body += bytes(int(bits[i : i + 8], 2) for i in range(0, len(bits), 8)).replace(b"\xff", b"\xff\x00")
+                if val is None:
+                    break
+                body, bits, pred, mark = body + bytes([0xFF, 0xD0 + mark % 8]), "", 0, mark + 1
+            d, pred = val - pred, val
+            k = abs(d).bit_length()
+            bits += f"{code[k][0]:0{code[k][1]}b}" + (f"{d if d > 0 else d + (1 << k) - 1:0{k}b}" if k else "") + "0"
+        scans[c] = seg(0xC4, b"\x00" + counts + symbols) + seg(0xC4, b"\x10" + bytes([1] + [0] * 15) + b"\x00") + seg(0xDA, bytes([1, c + 1, 0, 0, 63, 0])) + body
+        want = plane if c == 0 else want
+    frame = bytes([8]) + height.to_bytes(2, "big") + width.to_bytes(2, "big") + bytes([3, 1, h << 4 | v, 0, 2, 0x11, 0, 3, 0x11, 0])
+    data = b"\xff\xd8" + seg(0xDB, bytes([0]) + bytes([5] * 64)) + seg(0xC0, frame) + (seg(0xDD, every.to_bytes(2, "big")) if every else b"")
+    return data + b"".join(scans[c] for c in order) + b"\xff\xd9", np.clip((want * 5 + 4 + 1024) >> 3, 0, 255)
+
+
+@pytest.mark.parametrize("h,v,every", [(1, 1, 0), (2, 1, 0), (2, 2, 0), (2, 2, 2), (1, 1, 3)])
+@pytest.mark.parametrize("order", [(0, 1, 2), (1, 0, 2), (2, 1, 0)])
+def test_jpeg_reads_scans_of_single_components(h, v, every, order):
+    data, want = split_stream(h, v, order, every=every)
+    other, beside = colour_stream(h, v, every=every)
+    for got, plane in zip(jpeg.dc_planes([data, other]), (want, beside)):
+        assert got[0].shape == plane.shape and (got[0] == plane).all()
+    odd, want = split_stream(h, v, order, 37, 9, every)
+    assert jpeg.parse(odd)[0].width == 37 and (jpeg.dc_planes([odd + data])[0][0] == want).all()
+
+
+def test_jpeg_without_a_luminance_scan():
+    with pytest.raises(ValueError):
+        jpeg.parse(split_stream(2, 2, (1, 2))[0])
+
+
 def test_jpeg_column(spark):
     data, want = colour_stream()
     rows = spark.createDataFrame([(1, bytearray(data)), (2, bytearray(b"no picture")), (3, None)], "width long, data binary")
