@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, travels
+from .common import fresh, table, travels
 from .textkit import slabs, spans
 
 travels(__name__)
@@ -381,8 +381,11 @@ def digests(docs: DataFrame) -> DataFrame:
 
 
 def thumbnails(pictures: DataFrame, data: str = "data") -> DataFrame:
-    """id columns beside ``data`` (binary) are kept; each baseline stream becomes width, height, thumbnail, hash."""
+    """id columns beside ``data`` (binary) are kept; each baseline stream becomes width, height, thumbnail, hash.
+
+    The new columns are _width, _height, _thumbnail and _hash, with more underscores before them where the table has such names already."""
     others = [c for c in pictures.columns if c != data]
+    names = fresh(pictures, "_width", "_height", "_thumbnail", "_hash")
 
     def work(batches):
         for b in batches:
@@ -395,9 +398,9 @@ def thumbnails(pictures: DataFrame, data: str = "data") -> DataFrame:
                 except (ValueError, IndexError, KeyError, struct.error):
                     rows.append((None,) * 4)
             kinds = [pa.int32(), pa.int32(), pa.binary(), pa.string()]
-            yield pa.RecordBatch.from_arrays([*b.columns[: len(others)], *(pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds))], [*others, "_width", "_height", "_thumbnail", "_hash"])
+            yield pa.RecordBatch.from_arrays([*b.columns[: len(others)], *(pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds))], [*others, *names])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in pictures.schema if f.name != data), "_width int, _height int, _thumbnail binary, _hash string"])
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in pictures.schema if f.name != data), *(f"`{c}` {k}" for c, k in zip(names, ("int", "int", "binary", "string"), strict=True))])
     return pictures.select(*others, data).mapInArrow(work, schema)
 
 

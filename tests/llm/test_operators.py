@@ -529,6 +529,8 @@ def test_jpeg_column(spark):
     rows = spark.createDataFrame([(1, bytearray(data)), (2, bytearray(b"no picture")), (3, None)], "width long, data binary")
     got = {r["width"]: r for r in jpeg.thumbnails(rows).collect()}
     assert got[1]["_width"] == 40 and bytes(got[1]["_thumbnail"]) == want.astype(np.uint8).tobytes() and got[2]["_hash"] is None and got[3]["_hash"] is None
+    named = jpeg.thumbnails(rows.withColumnRenamed("width", "_hash"))
+    assert len(set(named.columns)) == 5 and sorted(r["_hash"] for r in named.collect()) == [1, 2, 3] and jpeg.thumbnails(rows.limit(0)).count() == 0
 
 
 def test_jpeg_query_values(spark):
