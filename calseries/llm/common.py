@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import sys
 import tempfile
 import uuid
@@ -81,6 +82,12 @@ def forget(staged_: DataFrame, part: str = "") -> None:
     _remove(staged_.sparkSession, f"{staged_.staged_at}/{part}" if part else staged_.staged_at)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark remove the shuffle files behind what is staged by now: it does so once the driver drops its handles."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def _remove(spark: SparkSession, path: str) -> None:
     sc = spark.sparkContext
     if sc._jsc is None:

@@ -623,6 +623,42 @@ def test_jaccard_blocks(spark, monkeypatch):
     assert jaccard_join.near_duplicates(d.limit(0)).count() == 0
 
 
+def test_jaccard_unlike_texts_leave_large_clusters(spark, monkeypatch):
+    """Texts chained by shared passages don't travel to every block of one cluster; no link is lost on the way."""
+    monkeypatch.setattr(jaccard_join, "BLOCK", 4000)
+    seen, kept = [], jaccard_join.verified
+    monkeypatch.setattr(jaccard_join, "verified", lambda docs, members, *a: seen.append(members.groupBy("cluster").count().toPandas()["count"]) or kept(docs, members, *a))
+    passage = lambda kind, i: [f"{kind}{i}w{j}" for j in range(20)]
+    texts = [" ".join([*passage("a", i), *passage("b", j), *passage("c", (i + j) % 7)]) for i in range(7) for j in range(7)]
+    texts += [x.replace("w19", "z", 1) for x in texts[::4]]
+    want = brute_components(dict(enumerate(texts)))
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.near_duplicates(docs(spark, texts)).collect()} == want
+    assert max(seen[0]) < len(texts) / 4 and len(set(c for _, c in want.values())) == 49
+
+
+@pytest.mark.parametrize("percent", [85, 80])
+def test_jaccard_equal_parts_are_enough(spark, percent):
+    """Linked sets share a posting, whatever their sizes; small sets and those with few full parts too."""
+    rng = random.Random(percent)
+    texts = []
+    for size in [*range(1, 60), 90, 150, 151, 180, 400]:
+        w = [f"u{rng.randrange(10**9)}" for _ in range(size + 3)]
+        texts += [" ".join(w), " ".join(w[: max(4, -(-size * percent // 100) + 3)]), " ".join([*w[: size + 2], "z"]), " ".join(["y", *w[1:]])]
+    d = docs(spark, texts)
+    slab = next(textkit.slabs(pa.array(texts), most=10**6))
+    h, owner = jaccard_join.sets(slab)
+    sets = [h[owner == i] for i in range(len(texts))]
+    f1 = [int(np.add.reduce(textkit.mix(x + np.uint64(1)), dtype=np.uint64).view(np.int64)) for x in sets]
+    members = spark.createDataFrame([(i, 0) for i in range(len(texts))], "rep long, x int")
+    posted = collections.defaultdict(set)
+    for r in jaccard_join.signatures(d, members, np.zeros(jaccard_join.SKETCH, np.uint8), percent=percent).collect():
+        posted[r["f1"]].add((r["key"], r["c"]))
+    a, b = jaccard_join.links(sets, np.zeros(len(sets), int), percent)
+    assert len(a) > 100
+    for i, j in zip(a.tolist(), b.tolist(), strict=True):
+        assert posted[f1[i]] & posted[f1[j]]
+
+
 def test_jaccard_repeated_ids(spark):
     """Different texts under one id are documents of their own, in whatever order they come."""
     base = " ".join(f"a{i}" for i in range(40))
