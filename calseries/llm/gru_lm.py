@@ -37,6 +37,10 @@ ROUNDS, WINDOW, LANES = 3, 24, 384
 CHUNK, FAN = 1 << 20, 16
 #: Outputs that scoring works out together, at least.
 BLOCK = 4096
+#: Rows and bytes of texts that are scored together, at most about.
+POOL, POOL_BYTES = 8000, 1 << 25
+#: Largest exponent for which sums of exponentials stay numbers of single precision, with room for many terms.
+BOUND = 60
 #: Most words whose counts are broadcast (16 bytes each).
 HEAD = 1 << 19
 SMOOTH = 0.1
@@ -130,13 +134,17 @@ class Network:
     def outputs(self, h: np.ndarray, ids: np.ndarray, learn: bool = False):
         """Natural log-probability of each id after each state; with ``learn`` also gradients."""
         p, cls = self.p, self.cls[ids]
+        # no part of a state exceeds 1, so the weights bound what the exponential sees; small bounds need no maxima
+        wide = np.abs(p["wc"]).sum(0) + np.abs(p["bc"]) > BOUND
+        widest = np.abs(p["wo"]).sum(1) + np.abs(p["bo"]) > BOUND
         ex = h @ p["wc"] + p["bc"]
         ex[:, self.used : CLASSES] = -1e9
-        ex -= ex.max(1, keepdims=True)
+        if wide.any():
+            ex -= ex.max(1, keepdims=True)
         rows = np.arange(len(ids))
         out = ex[rows, cls]
         np.exp(ex, out=ex)
-        total = ex.sum(1, keepdims=True)
+        total = (ex @ np.ones(ex.shape[1], np.float32))[:, None]
         out = out - np.log(total[:, 0])
         grads = None
         if learn:
@@ -153,12 +161,13 @@ class Network:
                 continue
             x = h[mine]
             ex = x @ p["wo"][lo:hi].T + p["bo"][lo:hi]
-            ex -= ex.max(1, keepdims=True)
+            if widest[lo:hi].any():
+                ex -= ex.max(1, keepdims=True)
             at = ids[mine] - lo
             sub = np.arange(len(mine))
             got = ex[sub, at]
             np.exp(ex, out=ex)
-            total = ex.sum(1, keepdims=True)
+            total = (ex @ np.ones(hi - lo, np.float32))[:, None]
             out[mine] += got - np.log(total[:, 0])
             if learn:
                 ex /= total
@@ -422,6 +431,23 @@ def train_network(train: DataFrame, own: np.ndarray, seen: np.ndarray, rate: flo
     return net
 
 
+def pooled(batches):
+    """Batches put together to ``POOL`` rows or ``POOL_BYTES``: the longest texts of more rows go on side by side."""
+    kept, rows, size = [], 0, 0
+    for b in batches:
+        if kept and size + b.nbytes > POOL_BYTES:
+            yield pa.Table.from_batches(kept).combine_chunks().to_batches()[0]
+            kept, rows, size = [], 0, 0
+        if b.num_rows:
+            kept.append(b)
+            rows, size = rows + b.num_rows, size + b.nbytes
+        if rows >= POOL:
+            yield pa.Table.from_batches(kept).combine_chunks().to_batches()[0]
+            kept, rows, size = [], 0, 0
+    if kept:
+        yield pa.Table.from_batches(kept).combine_chunks().to_batches()[0]
+
+
 TAIL = pa.list_(pa.struct([("h", pa.int64()), ("k", pa.int32())]))
 SCORED = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base double, model double, n_rest long, rest_log double, tail array<struct<h:long,k:int>>"
 
@@ -435,7 +461,7 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
         own_sorted, own_id, hh, hc, model = kept.value
         row = TaskContext.get().partitionId() << 33
         end_log = np.log10(totals.ends + SMOOTH)
-        for b in batches:
+        for b in pooled(batches):
             m = b.num_rows
             ids_all, sizes = [], []
             cols = {c: np.zeros(m) for c in ("n", "known", "base", "n_rest", "rest")}

@@ -808,6 +808,25 @@ def test_score_carries_the_state():
         assert abs(total - g) < 1e-3
 
 
+def test_scoring_pools_batches_whole(monkeypatch):
+    """Every row once and in order, whatever the sizes; and outputs far from zero stay numbers with their maxima."""
+    monkeypatch.setattr(gru_lm, "POOL", 5)
+    batches = [pa.RecordBatch.from_arrays([pa.array(range(lo, lo + n), pa.int64()), pa.array(["x" * 9] * n, pa.string())], ["i", "t"]) for lo, n in ((0, 3), (3, 0), (3, 4), (7, 9), (16, 1))]
+    got = list(gru_lm.pooled(iter(batches)))
+    assert [b.num_rows for b in got] == [7, 9, 1] and [i for b in got for i in b.column(0).to_pylist()] == list(range(17))
+    monkeypatch.setattr(gru_lm, "POOL_BYTES", 1)
+    assert [b.num_rows for b in gru_lm.pooled(iter(batches))] == [3, 4, 9, 1]
+    net = gru_lm.Network(gru_lm.WORDS)
+    h, ids = np.tanh(np.random.default_rng(2).normal(size=(50, gru_lm.STATE))).astype(np.float32), np.arange(50) * 80
+    small = net.outputs(h, ids)
+    monkeypatch.setattr(gru_lm, "BOUND", -1)
+    assert np.allclose(small, net.outputs(h, ids), atol=1e-5)
+    net.p["bc"] += np.float32(500)
+    net.p["bo"] -= np.float32(500)
+    monkeypatch.undo()
+    assert np.allclose(small, net.outputs(h, ids), atol=1e-3)
+
+
 def test_network_sees_every_training_text(spark, monkeypatch):
     """All texts count, also beyond the 2,500 that were once the bound, and a word that a single partition has moves."""
     seen = []
