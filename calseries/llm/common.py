@@ -8,6 +8,7 @@ import sys
 import tempfile
 import uuid
 
+from py4j.protocol import Py4JJavaError
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -71,6 +72,7 @@ def staged(df: DataFrame, label: str, *by: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/calseries-{label}-{uuid.uuid4().hex}"
     (df.write.partitionBy(*by) if by else df.write).parquet(path)
+    trim(spark)
     atexit.register(_remove, spark, path)
     out = spark.read.schema(df.schema).parquet(path)
     out.staged_at = path
@@ -88,6 +90,24 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def trim(spark: SparkSession) -> None:
+    """Have the driver's JVM hand freed native memory back to the system.
+
+    Planning many queries and compiling them leaves the allocator with freed pieces, some hundred MB beside the heap,
+    which stand in the way when the compiler next needs much at once. A JVM without this command keeps them."""
+    jvm, make = spark.sparkContext._jvm, spark.sparkContext._gateway.new_array
+    name, given, kinds = "javax.management.ObjectName", make(jvm.java.lang.Object, 4), make(jvm.java.lang.Class, 4)
+    for i, kind in enumerate((name, "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+        kinds[i] = jvm.java.lang.Class.forName(kind)
+    try:
+        given[0], given[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        # the server's own class is closed to callers, its interface isn't
+        invoke = jvm.java.lang.Class.forName("javax.management.MBeanServer").getMethod("invoke", kinds)
+        invoke.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), given)
+    except Py4JJavaError:
+        pass
+
+
 def _remove(spark: SparkSession, path: str) -> None:
     sc = spark.sparkContext
     if sc._jsc is None:
@@ -117,6 +137,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int
     The share that is kept follows from the number of labelled rows, and a hash of the id says which ones, so reruns
     agree. Documents without a label, an id or with a label other than 0 or 1 are left out. A document that is
     labelled twice counts with its larger label."""
+    trim(docs.sparkSession)
     marks = (
         labels.select(F.col("doc_id"), F.col(label).cast("int").alias("y"))
         .where(F.col("y").isin(0, 1) & F.col("doc_id").isNotNull() & (remainder("doc_id", modulus) != left_out))
