@@ -133,49 +133,60 @@ class Network:
 
     def outputs(self, h: np.ndarray, ids: np.ndarray, learn: bool = False):
         """Natural log-probability of each id after each state; with ``learn`` also gradients."""
-        p, cls = self.p, self.cls[ids]
+        p = self.p
+        # by class from the start, so that what belongs to a class lies together and none of it is gathered again
+        order = np.argsort(self.cls[ids].astype(np.uint8), kind="stable")
+        h, ids = h[order], ids[order]
+        cls = self.cls[ids]
+        cut = np.searchsorted(cls, np.arange(CLASSES + 1))
         # no part of a state exceeds 1, so the weights bound what the exponential sees; small bounds need no maxima
         wide = np.abs(p["wc"]).sum(0) + np.abs(p["bc"]) > BOUND
         widest = np.abs(p["wo"]).sum(1) + np.abs(p["bo"]) > BOUND
-        ex = h @ p["wc"] + p["bc"]
-        ex[:, self.used : CLASSES] = -1e9
+        ex = h @ p["wc"]
+        ex += p["bc"]
+        if self.used < CLASSES:
+            ex[:, self.used : CLASSES] = -1e9
         if wide.any():
             ex -= ex.max(1, keepdims=True)
         rows = np.arange(len(ids))
         out = ex[rows, cls]
         np.exp(ex, out=ex)
-        total = (ex @ np.ones(ex.shape[1], np.float32))[:, None]
-        out = out - np.log(total[:, 0])
-        grads = None
+        total = ex @ np.ones(ex.shape[1], np.float32)
+        out = out - np.log(total)
         if learn:
-            ex /= total
+            ex *= (1 / total)[:, None]
             ex[rows, cls] -= 1
             grads = {"wc": h.T @ ex, "bc": ex.sum(0), "wo": np.zeros_like(p["wo"]), "bo": np.zeros_like(p["bo"])}
             dh = ex @ p["wc"].T
-        order = np.argsort(cls.astype(np.uint8), kind="stable")
-        cut = np.searchsorted(cls[order], np.arange(CLASSES + 1))
         for k in range(self.used):
             lo, hi = self.edges[k], self.edges[k + 1]
-            mine = order[cut[k] : cut[k + 1]]
-            if not len(mine) or hi - lo == 1:  # a word alone in its class is certain there
+            mine = slice(cut[k], cut[k + 1])
+            if cut[k] == cut[k + 1] or hi - lo == 1:  # a word alone in its class is certain there
                 continue
             x = h[mine]
-            ex = x @ p["wo"][lo:hi].T + p["bo"][lo:hi]
+            ex = x @ p["wo"][lo:hi].T
+            ex += p["bo"][lo:hi]
             if widest[lo:hi].any():
                 ex -= ex.max(1, keepdims=True)
             at = ids[mine] - lo
-            sub = np.arange(len(mine))
+            sub = rows[: len(at)]
             got = ex[sub, at]
             np.exp(ex, out=ex)
-            total = (ex @ np.ones(hi - lo, np.float32))[:, None]
-            out[mine] += got - np.log(total[:, 0])
+            total = ex @ np.ones(hi - lo, np.float32)
+            out[mine] += got - np.log(total)
             if learn:
-                ex /= total
+                ex *= (1 / total)[:, None]
                 ex[sub, at] -= 1
                 grads["wo"][lo:hi] = ex.T @ x
                 grads["bo"][lo:hi] = ex.sum(0)
                 dh[mine] += ex @ p["wo"][lo:hi]
-        return (out, grads, dh) if learn else out
+        back = np.empty_like(out)
+        back[order] = out
+        if not learn:
+            return back
+        down = np.empty_like(dh)
+        down[order] = dh
+        return back, grads, down
 
     def train_window(self, ids: np.ndarray, prev: np.ndarray, h: np.ndarray, rate: float) -> np.ndarray:
         """One window of truncated backpropagation; ``ids`` and ``prev`` are steps by lanes. Returns the last state."""
@@ -339,6 +350,15 @@ def corpus(train: DataFrame) -> tuple[DataFrame, Totals, np.ndarray, np.ndarray,
     return counts, Totals(n, v, ends, float(rest + SMOOTH * (v - (ends > 0) - len(top) + 1))), own, seen, hh, hc
 
 
+def counted(h: np.ndarray, head: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which words are in the head of the counts, and the logarithms of their smoothed counts, 0 for others."""
+    if not len(head):
+        return np.zeros(len(h), bool), np.zeros(len(h))
+    at = np.minimum(np.searchsorted(head, h), len(head) - 1)
+    found = head[at] == h
+    return found, np.where(found, np.log10(count[at] + SMOOTH), 0.0)
+
+
 def ids_of(h: np.ndarray, owner: np.ndarray, n_texts: int, own_sorted: np.ndarray, own_id: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Network ids of all words with END after each text, and the texts' offsets."""
     if len(own_sorted):
@@ -461,6 +481,8 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
         own_sorted, own_id, hh, hc, model = kept.value
         row = TaskContext.get().partitionId() << 33
         end_log = np.log10(totals.ends + SMOOTH)
+        own_found, own_log = np.zeros(WORDS + 1, bool), np.zeros(WORDS + 1)  # by id, so that only other words are looked for
+        own_found[own_id], own_log[own_id] = counted(own_sorted, hh, hc)
         for b in pooled(batches):
             m = b.num_rows
             ids_all, sizes = [], []
@@ -473,13 +495,11 @@ def row_scores(docs: DataFrame, totals: Totals, own: np.ndarray, head: np.ndarra
                 ids_all.append(ids)
                 sizes.append(np.diff(off))
                 here = slice(slab.lo, slab.lo + n)
-                if len(hh):
-                    at = np.minimum(np.searchsorted(hh, h), len(hh) - 1)
-                    found = hh[at] == h
-                    logc = np.where(found, np.log10(hc[at] + SMOOTH), 0.0)
-                else:
-                    found, logc = np.zeros(len(h), bool), np.zeros(len(h))
-                rest = ids[np.arange(len(h)) + owner] == REST
+                mine = ids[np.arange(len(h)) + owner]
+                rest = mine == REST
+                found, logc = own_found[mine], own_log[mine]
+                others = np.flatnonzero(rest)
+                found[others], logc[others] = counted(h[others], hh, hc)
                 cols["n"][here] = per_text(None, owner, n) + 1
                 cols["known"][here] = per_text(found.astype(np.int64), owner, n) + (totals.ends > 0)
                 cols["base"][here] = per_text(logc, owner, n) + end_log

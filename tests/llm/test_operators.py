@@ -827,6 +827,22 @@ def test_scoring_pools_batches_whole(monkeypatch):
     assert np.allclose(small, net.outputs(h, ids), atol=1e-3)
 
 
+def test_counts_are_looked_up_for_other_words_only():
+    """The network's own words take their counts by id; outputs come back in the order that they were asked for."""
+    rng = np.random.default_rng(4)
+    head = np.sort(rng.integers(-1 << 62, 1 << 62, 500))
+    found, log = gru_lm.counted(np.r_[head[::-1], head + 1], head, np.arange(500))
+    assert found[:500].all() and not found[500:].any() and not log[500:].any()
+    assert np.array_equal(log[:500], np.log10(np.arange(500)[::-1] + 0.1))
+    assert not any(x.any() for x in gru_lm.counted(head, head[:0], head[:0]))
+    net = gru_lm.Network(gru_lm.WORDS)
+    h, ids = np.tanh(rng.normal(size=(300, gru_lm.STATE))).astype(np.float32), rng.integers(0, gru_lm.WORDS + 1, 300)
+    alone = [net.outputs(h[i : i + 1], ids[i : i + 1], learn=True) for i in range(300)]
+    out, grads, dh = net.outputs(h, ids, learn=True)
+    assert np.allclose(out, [x[0][0] for x in alone], atol=1e-4) and np.allclose(dh, np.concatenate([x[2] for x in alone]), atol=1e-4)
+    assert all(np.allclose(v, sum(x[1][k] for x in alone), atol=1e-3) for k, v in grads.items())
+
+
 def test_network_sees_every_training_text(spark, monkeypatch):
     """All texts count, also beyond the 2,500 that were once the bound, and a word that a single partition has moves."""
     seen = []
